@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tolerant_gd.llm import decontaminate, signature_tree, simple8b, transducer
+from tolerant_gd.llm import decontaminate, iso_media, mincut_html, ppm_language, signature_tree, simple8b, transducer
 from tolerant_gd.llm.tables import table, tokenizer_path
 
 
@@ -31,10 +31,18 @@ def op1_simple8b(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simple8b.read_tokens(simple8b.write_tokens(table(spark, sf_dir, "documents"), tokenizer_path()))
 
 
+def op2_mincut_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mincut_html.extract(table(spark, sf_dir, "pages"))
+
+
 def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op5_iso_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return iso_media.describe(iso_media.write_media(table(spark, sf_dir, "documents")))
+
+
 def op7_bpe_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transducer.encode_table(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -43,12 +51,19 @@ def op8_signature_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return signature_tree.join(table(spark, sf_dir, "documents"))
 
 
+def op9_ppm_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm_language.identify(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_simple8b": op1_simple8b,
+        "op2_mincut_html": op2_mincut_html,
         "op4_decontaminate": op4_decontaminate,
+        "op5_iso_media": op5_iso_media,
         "op7_bpe_stream": op7_bpe_stream,
         "op8_signature_join": op8_signature_join,
+        "op9_ppm_language": op9_ppm_language,
     }
 
 
