@@ -156,7 +156,7 @@ def _library_ids(path: str):
     bpe = WordBpe(path)
     model = bpe.library.model
     words = PieceCache(lambda w: np.array([t.id for t in model.tokenize(bpe.symbols(w))], "<u4").tobytes(), 150_000)
-    pieces = PieceCache(lambda c: b"".join([words[w] for w in bpe.words(c)]), 400_000)
+    pieces = PieceCache(lambda c: b"".join([words[w] for w in bpe.words(c)]))
     added = {t: np.array([i], "<u4").tobytes() for t, i in bpe.added.items()}
 
     def encode(text: str) -> bytes:

@@ -122,7 +122,7 @@ class Codec:
         self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix)
         # one cache entry a piece of text: its ids, written out, and what they decode to
         self.words = PieceCache(self._word, 150_000)
-        self.pieces = PieceCache(self._piece, 400_000)
+        self.pieces = PieceCache(self._piece)
 
     def _word(self, word: str) -> tuple[str, str]:
         ids = [self.bpe.vocab[t] for t in self.machine.tokens(self.bpe.symbols(word))]

@@ -124,15 +124,21 @@ class WordBpe:
 
 
 class PieceCache(dict):
-    """chunk -> encoded value, filled on demand, emptied when it holds ``limit`` entries."""
+    """chunk -> encoded value, filled on demand; holds at most two generations of ``limit`` entries.
 
-    def __init__(self, make, limit: int = 400_000):
+    When the young generation is full it becomes the old one; what is still in use moves back from there.
+    """
+
+    def __init__(self, make, limit: int = 450_000):
         super().__init__()
-        self.make, self.limit = make, limit
+        self.make, self.limit, self.old = make, limit, {}
 
     def __missing__(self, key: str):
-        value = self.make(key)
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
         if len(self) >= self.limit:
+            self.old = dict(self)
             self.clear()
         self[key] = value
         return value
