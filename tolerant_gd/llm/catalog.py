@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tolerant_gd.llm import decontaminate, iso_media, mincut_html, ppm_language, signature_tree, simple8b, transducer
+from tolerant_gd.llm import decontaminate, host_reputation, iso_media, mincut_html, ppm_language, rule_ensemble, secret_scan, signature_tree, simple8b, transducer
 from tolerant_gd.llm.tables import table, tokenizer_path
 
 
@@ -35,6 +35,10 @@ def op2_mincut_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mincut_html.extract(table(spark, sf_dir, "pages"))
 
 
+def op3_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return host_reputation.judge(table(spark, sf_dir, "pages"), host_reputation.label_outcomes(table(spark, sf_dir, "labels")))
+
+
 def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -43,6 +47,11 @@ def op5_iso_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return iso_media.describe(iso_media.write_media(table(spark, sf_dir, "documents")))
 
 
+def op6_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return rule_ensemble.score(docs, rule_ensemble.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op7_bpe_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transducer.encode_table(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -55,17 +64,24 @@ def op9_ppm_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ppm_language.identify(table(spark, sf_dir, "documents"))
 
 
+def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.report(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_simple8b": op1_simple8b,
         "op2_mincut_html": op2_mincut_html,
+        "op3_host_reputation": op3_host_reputation,
         "op4_decontaminate": op4_decontaminate,
         "op5_iso_media": op5_iso_media,
+        "op6_rule_ensemble": op6_rule_ensemble,
         "op7_bpe_stream": op7_bpe_stream,
         "op8_signature_join": op8_signature_join,
         "op9_ppm_language": op9_ppm_language,
+        "op10_secret_scan": op10_secret_scan,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_decontaminate": OP4_SQL}
+    return {"op3_host_reputation": host_reputation.ORACLE, "op4_decontaminate": OP4_SQL}

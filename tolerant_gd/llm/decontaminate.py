@@ -139,21 +139,27 @@ def report(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_char
     return found.select("doc_id", "n_words", F.size("hits").cast("long").alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.size("hits") > 0).alias("contaminated"))
 
 
+def _packed(docs: DataFrame) -> DataFrame:
+    """The whole row in one column, so that no name of ``docs`` can clash with ours."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"), "text")
+
+
 def remove_documents(docs: DataFrame, benchmark: DataFrame, max_share: float = 0.0, size: int = WINDOW) -> DataFrame:
     """Documents whose share of hit words is at most ``max_share``, all columns as they were."""
-    found = scan(docs, benchmark, size, keep=docs.columns if "text" in docs.columns else None)
-    return found.where(F.size("hits") <= F.col("n_words") * F.lit(max_share)).select(*docs.columns)
+    found = scan(_packed(docs), benchmark, size, keep=["_whole"])
+    return found.where(F.size("hits") <= F.col("n_words") * F.lit(max_share)).select("_whole.*")
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
     """All documents, with hit words and what stands between neighbouring ones cut out of the text."""
-    found = scan(docs, benchmark, size, keep=docs.columns)
+    found = scan(_packed(docs), benchmark, size, keep=["_whole"]).select("_whole.*", F.col("hits").alias("_hits"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts_, hits = batch.column("text").to_pylist(), batch.column("hits").to_pylist()
-            out = [t if not h else _cut(t, h) for t, h in zip(texts_, hits, strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if c == "text" else batch.column(c) for c in docs.columns], docs.columns)
+            at = docs.columns.index("text")
+            out = [t if not h else _cut(t, h) for t, h in zip(batch.column(at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
+            columns = [pa.array(out, pa.string()) if i == at else batch.column(i) for i in range(len(docs.columns))]
+            yield pa.RecordBatch.from_arrays(columns, docs.columns)
 
     return found.mapInArrow(cut, docs.schema)
 

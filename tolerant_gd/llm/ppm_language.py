@@ -224,5 +224,6 @@ def identify(docs: DataFrame) -> DataFrame:
 
 def accept(docs: DataFrame, least_score: float = 0.5, most_bits: float = 7.0) -> DataFrame:
     """Documents in a known language, all columns as they were: not ``und``, likelier than not, shorter coded than noise."""
-    found = predict(docs, fit(docs), keep=docs.columns)
-    return found.where((F.col("lang_pred") != "und") & (F.col("score") >= least_score) & (F.col("bits_per_byte") <= most_bits)).select(*docs.columns)
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"), "text")  # no name of docs can clash
+    found = predict(packed, fit(docs), keep=["_whole"])
+    return found.where((F.col("lang_pred") != "und") & (F.col("score") >= least_score) & (F.col("bits_per_byte") <= most_bits)).select("_whole.*")
