@@ -43,15 +43,15 @@ def messages_sql(schemes: list[Scheme]) -> str:
 def complete_sql(arrivals: str, keys: tuple[str, ...] = ()) -> str:
     """The end of every round from a relation with the columns of k, trial, at and ``keys``."""
     base = ", ".join(["sid", "scheme", *keys, "trial"])
-    return f"""a AS ({arrivals}), f AS (SELECT {base}, cluster, need, code, min(at) AS at, max(full_) AS full_ FROM a GROUP BY ALL),
-r AS (SELECT *, row_number() OVER (PARTITION BY {base}, cluster, full_ ORDER BY at) AS n FROM f),
-c AS (SELECT {base}, cluster, least(min(at) FILTER (full_ = 0 AND n = need), min(at) FILTER (full_ = 1)) AS t FROM r GROUP BY ALL),
+    return f"""a AS ({arrivals}), f AS (SELECT {base}, cluster, need, code, min(at_) AS at_, max(full_) AS full_ FROM a GROUP BY ALL),
+r AS (SELECT *, row_number() OVER (PARTITION BY {base}, cluster, full_ ORDER BY at_) AS n FROM f),
+c AS (SELECT {base}, cluster, least(min(at_) FILTER (full_ = 0 AND n = need), min(at_) FILTER (full_ = 1)) AS t FROM r GROUP BY ALL),
 e AS (SELECT {base}, max(t) AS t FROM c GROUP BY ALL),
-done AS (SELECT {base}, CAST(t AS BIGINT) AS t, count(*) FILTER (at <= t) AS load FROM a JOIN e USING ({base}) WHERE first_ = 1 GROUP BY ALL)"""
+done AS (SELECT {base}, CAST(t AS BIGINT) AS t, count(*) FILTER (at_ <= t) AS load FROM a JOIN e USING ({base}) WHERE first_ = 1 GROUP BY ALL)"""
 
 
-PLAIN = "SELECT k.*, u.trial, unit * needs AS at FROM u JOIN k USING (worker)"
-SENT = """SELECT *, spent + max(ready - (spent - x)) OVER (PARTITION BY sid, trial, worker ORDER BY step RANGE UNBOUNDED PRECEDING) AS at FROM (
+PLAIN = "SELECT k.*, u.trial, unit * needs AS at_ FROM u JOIN k USING (worker)"
+SENT = """SELECT *, spent + max(ready - (spent - x)) OVER (PARTITION BY sid, trial, worker ORDER BY step RANGE UNBOUNDED PRECEDING) AS at_ FROM (
  SELECT k.*, u.trial, unit * needs AS ready, x, sum(CASE WHEN first_ = 1 THEN x ELSE 0 END) OVER (PARTITION BY sid, u.trial, k.worker ORDER BY k.step RANGE UNBOUNDED PRECEDING) AS spent
  FROM u JOIN k USING (worker) JOIN x ON x.trial = u.trial AND x.worker = k.worker AND x.step = k.step)"""
 
@@ -105,9 +105,9 @@ def _arr(s, d, sch=_MULTI):
 
 
 QUERIES["first_copy_only"] = lambda s, d: recover.first_copies(_arr(s, d)).select("trial", "code", "at", "worker", "step")
-ORACLES["first_copy_only"] = f"WITH {units_sql()}, {messages_sql([_MULTI])}, a AS ({PLAIN}) SELECT trial, code, at, worker, step FROM (SELECT *, row_number() OVER (PARTITION BY trial, code ORDER BY at, worker, step) AS n FROM a) WHERE n = 1"
+ORACLES["first_copy_only"] = f"WITH {units_sql()}, {messages_sql([_MULTI])}, a AS ({PLAIN}) SELECT trial, code, at_ AS \"at\", worker, step FROM (SELECT *, row_number() OVER (PARTITION BY trial, code ORDER BY at_, worker, step) AS n FROM a) WHERE n = 1"
 QUERIES["missing_batches"] = lambda s, d: _missing(s, d)
-ORACLES["missing_batches"] = f"WITH {units_sql()}, {messages_sql([SCHEMES['uncoded_partial']])}, {complete_sql(PLAIN)} SELECT trial, CAST(b AS INT) AS batch FROM done, generate_series(0, 19) g(b) EXCEPT SELECT a.trial, code FROM a JOIN done USING (trial) WHERE at <= t"
+ORACLES["missing_batches"] = f"WITH {units_sql()}, {messages_sql([SCHEMES['uncoded_partial']])}, {complete_sql(PLAIN)} SELECT trial, CAST(b AS INT) AS batch FROM done, generate_series(0, 19) g(b) EXCEPT SELECT a.trial, code FROM a JOIN done USING (trial) WHERE at_ <= t"
 
 
 def _missing(s, d):
@@ -138,21 +138,21 @@ ORACLES["latency_initial_delay"] = f"SELECT t AS trial, CAST(w AS INT) AS worker
 QUERIES["overlap_arrivals"] = lambda s, d: recover.arrivals(latency.measured_units(s, d, TRIALS, WORKERS, SEED), layout.message_table(s, [_MULTI]), latency.measured_comm(s, d, TRIALS, 4, WORKERS, SEED)).select("trial", "worker", "step", F.col("at").cast("bigint").alias("at"))
 #: The recursion itself: each message waits for the one before.
 ORACLES["overlap_arrivals"] = f"""WITH RECURSIVE {units_sql()}, {comm_sql(TRIALS, 4)}, y AS (SELECT x.trial, x.worker, step, unit * (step + 1) AS ready, x FROM x JOIN u USING (trial, worker)),
-o AS (SELECT trial, worker, step, ready + x AS at FROM y WHERE step = 0 UNION ALL SELECT y.trial, y.worker, y.step, greatest(y.ready, o.at) + y.x FROM o JOIN y ON y.trial = o.trial AND y.worker = o.worker AND y.step = o.step + 1)
-SELECT trial, worker, step, CAST(at AS BIGINT) AS at FROM o"""
+o AS (SELECT trial, worker, step, ready + x AS at_ FROM y WHERE step = 0 UNION ALL SELECT y.trial, y.worker, y.step, greatest(y.ready, o.at_) + y.x FROM o JOIN y ON y.trial = o.trial AND y.worker = o.worker AND y.step = o.step + 1)
+SELECT trial, worker, step, CAST(at_ AS BIGINT) AS "at" FROM o"""
 
 _SHORT = scheme("uncoded_multi", 20, 2)
-_QUEUE = """WITH RECURSIVE {units}, {msgs}, a AS ({plain}), q AS (SELECT trial, worker, step, at, row_number() OVER (PARTITION BY trial{by} ORDER BY at, worker, step, code) AS n{by} FROM a),
-o AS (SELECT trial, worker, step, n, at + 300 AS out{by2} FROM q WHERE n = 1 UNION ALL SELECT q.trial, q.worker, q.step, q.n, greatest(q.at, o.out) + 300{by2q} FROM o JOIN q ON q.trial = o.trial AND q.n = o.n + 1{join})
-SELECT trial, worker, step, CAST(out AS BIGINT) AS at FROM o"""
+_QUEUE = """WITH RECURSIVE {units}, {msgs}, a AS ({plain}), q AS (SELECT trial, worker, step, at_, row_number() OVER (PARTITION BY trial{by} ORDER BY at_, worker, step, code) AS n{by} FROM a),
+o AS (SELECT trial, worker, step, n, at_ + 300 AS out{by2} FROM q WHERE n = 1 UNION ALL SELECT q.trial, q.worker, q.step, q.n, greatest(q.at_, o.out) + 300{by2q} FROM o JOIN q ON q.trial = o.trial AND q.n = o.n + 1{join})
+SELECT trial, worker, step, CAST(out AS BIGINT) AS "at" FROM o"""
 QUERIES["congested_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT).where("trial < 10"), 300).select("trial", "worker", "step", F.col("at").cast("bigint").alias("at"))
 ORACLES["congested_arrivals"] = _QUEUE.format(units=units_sql(10), msgs=messages_sql([_SHORT]), plain=PLAIN, by="", by2="", by2q="", join="")
 QUERIES["hierarchy_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT).where("trial < 10"), 300, groups=4).groupBy("trial").agg(F.max("at").cast("bigint").alias("last"), F.min("at").cast("bigint").alias("first"))
 ORACLES["hierarchy_arrivals"] = f"""WITH {units_sql(10)}, {messages_sql([_SHORT])}, a AS ({PLAIN}),
-q AS (SELECT *, 300 * row_number() OVER w AS s, max(at - 300 * (rn - 1)) OVER (PARTITION BY trial, worker % 4 ORDER BY rn) AS b FROM (SELECT *, row_number() OVER (PARTITION BY trial, worker % 4 ORDER BY at, worker, step, code) AS rn FROM a) WINDOW w AS (PARTITION BY trial, worker % 4 ORDER BY at, worker, step, code)),
-h AS (SELECT trial, worker, step, code, s + b AS at FROM q), r AS (SELECT *, row_number() OVER (PARTITION BY trial ORDER BY at, worker, step, code) AS rn FROM h),
-e AS (SELECT trial, 300 * rn + max(at - 300 * (rn - 1)) OVER (PARTITION BY trial ORDER BY rn) AS at FROM r)
-SELECT trial, CAST(max(at) AS BIGINT) AS last, CAST(min(at) AS BIGINT) AS first FROM e GROUP BY trial"""
+q AS (SELECT *, 300 * row_number() OVER w AS s, max(at_ - 300 * (rn - 1)) OVER (PARTITION BY trial, worker % 4 ORDER BY rn) AS b FROM (SELECT *, row_number() OVER (PARTITION BY trial, worker % 4 ORDER BY at_, worker, step, code) AS rn FROM a) WINDOW w AS (PARTITION BY trial, worker % 4 ORDER BY at_, worker, step, code)),
+h AS (SELECT trial, worker, step, code, s + b AS at_ FROM q), r AS (SELECT *, row_number() OVER (PARTITION BY trial ORDER BY at_, worker, step, code) AS rn FROM h),
+e AS (SELECT trial, 300 * rn + max(at_ - 300 * (rn - 1)) OVER (PARTITION BY trial ORDER BY rn) AS at_ FROM r)
+SELECT trial, CAST(max(at_) AS BIGINT) AS last, CAST(min(at_) AS BIGINT) AS first FROM e GROUP BY trial"""
 
 
 def _carry(s, d):
@@ -191,9 +191,9 @@ _FEW = [SCHEMES[n] for n in ("lagrange_single", "lagrange_multi", "uncoded_multi
 QUERIES["average_completion"] = lambda s, d: recover.summarise(done(s, d, _FEW, steps=4), ["scheme"])
 ORACLES["average_completion"] = f"WITH {units_sql()}, {comm_sql(TRIALS, 4)}, {messages_sql(_FEW)}, {complete_sql(SENT)} SELECT scheme, CAST(sum(t) // count(*) AS BIGINT) AS avg_t, CAST(sum(load) * 1000 // count(*) AS BIGINT) AS avg_load, count(*) AS trials FROM done GROUP BY scheme"
 QUERIES["reduction_vs_baseline"] = lambda s, d: recover.reductions(recover.summarise(done(s, d, _FEW, steps=4).withColumn("r", F.lit(4)), ["scheme", "r"]), "lagrange_single", ["r"])
-ORACLES["reduction_vs_baseline"] = f"WITH {units_sql()}, {comm_sql(TRIALS, 4)}, {messages_sql(_FEW)}, {complete_sql(SENT)}, v AS (SELECT scheme, CAST(sum(t) // count(*) AS BIGINT) AS avg_t FROM done GROUP BY scheme) SELECT scheme, 4 AS r, avg_t, (SELECT avg_t FROM v WHERE scheme = 'lagrange_single') AS base_t, round((base_t - avg_t) * 100.0::DOUBLE / base_t, 4) AS reduction FROM v"
+ORACLES["reduction_vs_baseline"] = f"WITH {units_sql()}, {comm_sql(TRIALS, 4)}, {messages_sql(_FEW)}, {complete_sql(SENT)}, v AS (SELECT scheme, CAST(sum(t) // count(*) AS BIGINT) AS avg_t FROM done GROUP BY scheme) SELECT v.scheme, 4 AS r, v.avg_t, b.avg_t AS base_t, round((b.avg_t - v.avg_t) * 100.0::DOUBLE / b.avg_t, 4) AS reduction FROM v JOIN v b ON b.scheme = 'lagrange_single'"
 QUERIES["waste"] = lambda s, d: _waste(s, d)
-ORACLES["waste"] = f"WITH {units_sql()}, {messages_sql([_MULTI])}, {complete_sql(PLAIN)}, x1 AS (SELECT u.trial, CAST(sum(least(t // unit, 4)) AS BIGINT) AS executed FROM u JOIN done USING (trial) GROUP BY 1), y1 AS (SELECT trial, count(*) AS useful FROM f JOIN done USING (trial) WHERE at <= done.t GROUP BY 1) SELECT trial, executed, useful FROM x1 JOIN y1 USING (trial)"
+ORACLES["waste"] = f"WITH {units_sql()}, {messages_sql([_MULTI])}, {complete_sql(PLAIN)}, x1 AS (SELECT u.trial, CAST(sum(least(t // unit, 4)) AS BIGINT) AS executed FROM u JOIN done USING (trial) GROUP BY 1), y1 AS (SELECT trial, count(*) AS useful FROM f JOIN done USING (trial) WHERE at_ <= done.t GROUP BY 1) SELECT trial, executed, useful FROM x1 JOIN y1 USING (trial)"
 
 
 def _waste(s, d):

@@ -57,7 +57,7 @@ ORACLES["gram_matrix"] = f"WITH s AS ({SAMPLE.format(K=20)}) " + " UNION ALL ".j
 )
 QUERIES["gram_gradient"] = lambda s, d: _big(regress.gram_gradient(regress.gram(exact_sample(s, d, 20)), THETA), "dim")
 ORACLES["gram_gradient"] = long_sum(f"({Z} - y)", "")
-QUERIES["gram_embeddings"] = lambda s, d: regress.gram_vectors(vector_sample(s, d, 20), 64).where("j <> -1").select("i", "j", F.round("v", 5).alias("v"))
+QUERIES["gram_embeddings"] = lambda s, d: regress.gram_vectors(vector_sample(s, d, 20), 64).where("j >= 0").groupBy("i", "j").agg(F.round(F.sum("v"), 5).alias("v"))
 ORACLES["gram_embeddings"] = "WITH e AS (SELECT vec_id, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) - 1 AS k FROM embeddings) SELECT CAST(a.k AS INT) AS i, CAST(b.k AS INT) AS j, round(sum(a.v * b.v), 5) AS v FROM e a JOIN e b ON a.vec_id = b.vec_id AND a.k <= b.k GROUP BY ALL"
 QUERIES["block_sum_identity"] = lambda s, d: _big(regress.block_products(exact_sample(s, d, 20), THETA).groupBy("dim").agg(F.sum("v").alias("v")), "dim")
 ORACLES["block_sum_identity"] = long_sum(Z, "")

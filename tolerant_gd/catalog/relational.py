@@ -33,11 +33,11 @@ def _scan(s, d):
     return out
 
 
-@add("op_filter_project", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) AS net, CASE WHEN l_quantity > 40 THEN 'large' WHEN l_quantity > 20 THEN 'mid' ELSE 'small' END AS bin FROM lineitem WHERE l_discount BETWEEN 0.05 AND 0.07 AND l_returnflag IN ('R', 'A') AND l_shipdate >= TIMESTAMP '1997-01-01'")
+@add("op_filter_project", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * 100)::BIGINT * (100 - round(l_discount * 100)::BIGINT) AS net, CASE WHEN l_quantity > 40 THEN 'large' WHEN l_quantity > 20 THEN 'mid' ELSE 'small' END AS bin FROM lineitem WHERE l_discount BETWEEN 0.05 AND 0.07 AND l_returnflag IN ('R', 'A') AND l_shipdate >= TIMESTAMP '1997-01-01'")
 def _filter(s, d):
     li = read(s, d, "lineitem").where("l_discount BETWEEN 0.05 AND 0.07 AND l_returnflag IN ('R', 'A') AND l_shipdate >= TIMESTAMP_NTZ '1997-01-01'")
     size = F.when(F.col("l_quantity") > 40, "large").when(F.col("l_quantity") > 20, "mid").otherwise("small")
-    return li.select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("net"), size.alias("bin"))
+    return li.select("l_orderkey", "l_linenumber", (F.round(F.col("l_extendedprice") * 100).cast("bigint") * (100 - F.round(F.col("l_discount") * 100).cast("bigint"))).alias("net"), size.alias("bin"))
 
 
 @add("op_join_inner", "SELECT c_mktsegment, count(*) AS n, CAST(sum(round(o_totalprice * 100)) AS BIGINT) AS cents FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
