@@ -132,7 +132,7 @@ QUERIES["latency_exp_comm"] = lambda s, d: latency.measured_comm(s, d, TRIALS, 2
 ORACLES["latency_exp_comm"] = f"WITH {MEASURED}, {comm_sql(TRIALS, 2, 2000)} SELECT trial, worker, step, x FROM x"
 QUERIES["latency_shifted_exp"] = lambda s, d: latency.shifted_exponential(s, 500, 20).select("trial", "worker", "unit")
 ORACLES["latency_shifted_exp"] = f"SELECT t AS trial, CAST(w AS INT) AS worker, 10000 + CAST(round(round(-ln(({portable_sql('1', 't', 'w')} + 0.5) / 4503599627370496.0), 9) * 100000.0) AS BIGINT) AS unit FROM generate_series(0, 499) a(t), generate_series(0, 19) b(w)"
-QUERIES["latency_initial_delay"] = lambda s, d: latency.initial_delay(latency.measured_units(s, d, TRIALS, WORKERS, SEED), 0.3, 12000, SEED).select("trial", "worker", "start")
+QUERIES["latency_initial_delay"] = lambda s, d: latency.initial_delay(latency.shifted_exponential(s, TRIALS, WORKERS), 0.3, 12000, SEED).select("trial", "worker", "start")
 ORACLES["latency_initial_delay"] = f"SELECT t AS trial, CAST(w AS INT) AS worker, CAST(CASE WHEN ({portable_sql('1', chr(39) + 'd' + chr(39), 't', 'w')} + 0.5) / 4503599627370496.0 < 0.3 THEN 12000 ELSE 0 END AS BIGINT) AS start FROM generate_series(0, {TRIALS - 1}) a(t), generate_series(0, 19) b(w)"
 
 QUERIES["overlap_arrivals"] = lambda s, d: recover.arrivals(latency.measured_units(s, d, TRIALS, WORKERS, SEED), layout.message_table(s, [_MULTI]), latency.measured_comm(s, d, TRIALS, 4, WORKERS, SEED)).select("trial", "worker", "step", F.col("at").cast("bigint").alias("at"))

@@ -7,11 +7,20 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StructType
 
 from tolerant_gd.plans.scheme import message_threshold, messages, scheme
 
 
-@pandas_udf("array<double>")
+def _ints(*names: str) -> StructType:
+    """Types as objects: reading DDL would need a running session at import."""
+    out = StructType()
+    for n in names:
+        out = out.add(n, IntegerType())
+    return out
+
+
+@pandas_udf(ArrayType(DoubleType()))
 def decode_weights(points: pd.Series) -> pd.Series:
     """Weights of received codes at the given points: inverse products of differences."""
     def one(p) -> list[float]:
@@ -27,14 +36,14 @@ def decode_weights(points: pd.Series) -> pd.Series:
     return points.map(one)
 
 
-@pandas_udf("long")
+@pandas_udf(LongType())
 def nth_arrival(at: pd.Series, need: pd.Series) -> int:
     """The ``need``-th smallest arrival of a group (count recovery)."""
     n = int(need.iloc[0])
     return int(at.nsmallest(n).iloc[-1]) if len(at) >= n else -1
 
 
-@udtf(returnType="worker: int, ord: int, batch: int")
+@udtf(returnType=_ints("worker", "ord", "batch"))
 class CyclicLayout:
     """SELECT * FROM cyclic_layout(6, 3)"""
 
@@ -44,7 +53,7 @@ class CyclicLayout:
                 yield w, j, (w + j) % K
 
 
-@udtf(returnType="worker: int, step: int, code: int, needs: int, need: int")
+@udtf(returnType=_ints("worker", "step", "code", "needs", "need"))
 class SchemeMessages:
     """SELECT * FROM scheme_messages('gradcode_shared', 6, 3, 2)"""
 
@@ -55,7 +64,7 @@ class SchemeMessages:
             yield m.worker, m.step, m.code, m.needs, message_threshold(s)
 
 
-@udtf(returnType="trial: int, t: double, load: int")
+@udtf(returnType=StructType().add("trial", IntegerType()).add("t", DoubleType()).add("load", IntegerType()))
 class Completion:
     """SELECT * FROM completion('uncoded_multi', 40, 10, 1000): simulated rounds under the shifted exponential."""
 
