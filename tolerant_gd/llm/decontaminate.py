@@ -153,13 +153,13 @@ def remove_documents(docs: DataFrame, benchmark: DataFrame, max_share: float = 0
 def remove_spans(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
     """All documents, with hit words and what stands between neighbouring ones cut out of the text."""
     found = scan(_packed(docs), benchmark, size, keep=["_whole"]).select("_whole.*", F.col("hits").alias("_hits"))
+    names, at = docs.columns, docs.columns.index("text")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            at = docs.columns.index("text")
             out = [t if not h else _cut(t, h) for t, h in zip(batch.column(at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
-            columns = [pa.array(out, pa.string()) if i == at else batch.column(i) for i in range(len(docs.columns))]
-            yield pa.RecordBatch.from_arrays(columns, docs.columns)
+            columns = [pa.array(out, pa.string()) if i == at else batch.column(i) for i in range(len(names))]
+            yield pa.RecordBatch.from_arrays(columns, names)
 
     return found.mapInArrow(cut, docs.schema)
 
