@@ -202,3 +202,19 @@ def test_ties_and_zero_delay():
     end, load = p.complete(p.ready(unit, np.zeros_like(unit)))
     assert (end[0], load[0]) == (1.0, 6)
     assert available(scheme("wait_all", 6)) == 6
+
+
+def test_facade(spark):
+    from tolerant_gd import api
+
+    s = api.scheme("gradcode_layered", 6, 3, orders=(3, 2))
+    grads = spark.createDataFrame([(b, 0, (b + 1) * 10) for b in range(6)], "batch int, dim int, v bigint")
+    assert [tuple(r) for r in api.decode(api.encode(grads, s), [11, 3, 0, 7, 5, 2, 9, 4], s).collect()] == [(0, 210)]
+    assert api.layout(spark, s).count() == 18
+    assert api.messages(spark, s).count() == 12
+    lat = api.latency(spark, "shifted_exponential", 5, 6)
+    assert api.complete(api.arrivals(lat, api.messages(spark, s))).count() == 5
+    with pytest.raises(ValueError):
+        api.lagrange_encode(grads, api.scheme("lagrange_single", 6, 3), ["v"])
+    with pytest.raises(ValueError):
+        api.latency(spark, "none", 1, 1)

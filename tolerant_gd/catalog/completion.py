@@ -226,6 +226,8 @@ ORACLES["cdf_message_threshold"] = """WITH g AS (SELECT k, k * 0.01::DOUBLE AS t
 f AS (SELECT k, CASE WHEN t <= 0.01 THEN 0 ELSE 1 - exp(-10 * (t - 0.01)) END AS f1, CASE WHEN t <= 0.02 THEN 0 ELSE 1 - exp(-10 * (t / 2 - 0.01)) END AS f2, CASE WHEN t <= 0.03 THEN 0 ELSE 1 - exp(-10 * (t / 3 - 0.01)) END AS f3 FROM g),
 c AS (SELECT a, b, c, 6 - a - b - c AS e, round(720 / (gamma(a + 1) * gamma(b + 1) * gamma(c + 1) * gamma(7 - a - b - c))) AS ways FROM generate_series(0, 6) x(a), generate_series(0, 6) y(b), generate_series(0, 6) z(c) WHERE a + b + c <= 6 AND b + 2 * c + 3 * (6 - a - b - c) >= 11)
 SELECT k, round(sum(ways * pow(1 - f1, a) * pow(f1 - f2, b) * pow(f2 - f3, c) * pow(f3, e)), 8) AS cdf FROM f, c GROUP BY k"""
+QUERIES["cdf_layered"] = lambda s, d: analytic.message_cdf_table(s, 6, 3, 8, 100, 0.01, weight=lambda n: (n >= 2) + (n >= 3))
+ORACLES["cdf_layered"] = ORACLES["cdf_message_threshold"].replace("b + 2 * c + 3 * (6 - a - b - c) >= 11", "c + 2 * (6 - a - b - c) >= 8")
 
 
 def _closed(s):

@@ -148,6 +148,24 @@ def _percentiles(s, d):
     return read(s, d, "lineitem").groupBy("l_returnflag").agg(F.percentile("l_quantity", 0.5).alias("mid"), F.percentile("l_quantity", 0.9).alias("high"))
 
 
+@add("op_approximate", "SELECT true AS near_distinct, true AS near_median, l_returnflag FROM lineitem GROUP BY l_returnflag")
+def _approximate(s, d):
+    li = read(s, d, "lineitem")
+    near = F.abs(F.approx_count_distinct("l_partkey", 0.02) - F.countDistinct("l_partkey")) <= 0.1 * F.countDistinct("l_partkey")
+    mid = F.abs(F.percentile_approx("l_quantity", 0.5, 1000) - F.percentile("l_quantity", 0.5)) <= 1
+    return li.groupBy("l_returnflag").agg(near.alias("near_distinct"), mid.alias("near_median"))
+
+
+@add("op_join_strategies", "SELECT h, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey, (VALUES ('merge'), ('shuffle_hash'), ('broadcast')) v(h) GROUP BY h")
+def _strategies(s, d):
+    o, c, out = read(s, d, "orders").select("o_custkey"), read(s, d, "customer").select("c_custkey"), None
+    for hint in ("merge", "shuffle_hash", "broadcast"):
+        side = relops.broadcast_if_small(c) if hint == "broadcast" else c.hint(hint)
+        one = o.join(side, F.col("o_custkey") == F.col("c_custkey")).agg(F.count("*").alias("n")).select(F.lit(hint).alias("h"), "n")
+        out = one if out is None else out.union(one)
+    return out
+
+
 @add("op_window_ranks", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WHERE o_custkey < 300 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
 def _ranks(s, d):
     w = Window.partitionBy("o_custkey").orderBy("o_orderkey")

@@ -99,13 +99,13 @@ def worker_cdf_table(spark: SparkSession, K: int, r: int, need: int, points: int
     return rows.groupBy("k", "t").agg(F.round(F.sum(term), 8).alias("cdf")).select("k", "cdf")
 
 
-def message_cdf_table(spark: SparkSession, K: int, r: int, need: int, points: int, step: float, rate: float = 10.0, shift: float = 0.01) -> DataFrame:
+def message_cdf_table(spark: SparkSession, K: int, r: int, need: int, points: int, step: float, rate: float = 10.0, shift: float = 0.01, weight: Callable[[int], int] = lambda s: s) -> DataFrame:
     """k, cdf by enumeration of compositions, as a plan (few compositions only; they are broadcast)."""
     if comb(K + r, r) > ENUMERATE:
         raise ValueError("too many compositions; use cdf_messages with how='convolve'")
     rows = []
     for n in compositions(K, r + 1):
-        if sum(s * c for s, c in enumerate(n)) >= need:
+        if sum(weight(s) * c for s, c in enumerate(n)) >= need:
             ways = factorial(K)
             for c in n:
                 ways //= factorial(c)
