@@ -33,7 +33,11 @@ NEVER = frozenset("nav aside footer form head menu dialog search fieldset".split
 # Words in class, id and role attributes that tell what an element is.
 NEVER_WORDS = frozenset("ad ads advert advertisement adverts advertising banner sponsor sponsored promo menu nav navbar navigation breadcrumb breadcrumbs sidebar footer cookie cookies consent notice alert popup modal newsletter subscribe signup login share sharing social related recommended recommendations comments comment comment-list disqus replies reply copyright contentinfo complementary toolbar pagination pager search masthead site-header page-header hidden visually-hidden sr-only skip-link".split())
 DOUBT_WORDS = frozenset("ad ads advert sponsor promo menu nav sidebar side widget foot footer header top cookie consent notice alert popup modal newsletter subscribe share social related comment comments reply copyright legal tags meta byline toolbar pager hidden skip".split())
+# Words that condemn an element even as a part of a name (user-comments, ad_top), unless an article begins inside it.
+PART_WORDS = frozenset("ad ads advert adverts advertisement banner sponsor sponsored promo menu nav navbar navigation breadcrumb breadcrumbs sidebar footer cookie cookies consent notice newsletter subscribe signup share sharing social related recommended comment comments replies reply disqus toolbar pagination pager widget popup modal".split())
+TALK_WORDS = frozenset("comment comments reply replies disqus".split())
 GOOD_WORDS = frozenset("article content post entry story main text body page".split())
+LAYOUT_WORDS = frozenset("has with no without layout wrapper container page body col row grid".split())
 GOOD_TAGS = frozenset(["article", "main"])
 
 _MARKUP = re.compile(r"""<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]*+"|'[^']*+')*+|[^>]*+)>|<[!?/][^>]*+>?|<[a-zA-Z][^>]*+\Z""", re.S)
@@ -45,7 +49,7 @@ SMOOTH_NEXT, SMOOTH_PARENT, CERTAIN = 0.6, 0.3, 60.0
 
 
 class Element:
-    __slots__ = ("depth", "good", "id", "never", "odds", "parent", "tag")
+    __slots__ = ("depth", "good", "id", "never", "odds", "parent", "part", "tag", "talk")
 
     def __init__(self, tag: str, attributes: str, parent: Element | None, number: int):
         self.tag, self.parent, self.id = tag, parent, number
@@ -53,12 +57,15 @@ class Element:
         self.never = parent.never if parent else False
         self.odds = parent.odds if parent else 0.0
         self.good = parent.good if parent else False
+        self.part = parent.part if parent else False  # below an element condemned by a part of its name
+        self.talk = parent.talk if parent else False  # and that part speaks of readers
         if tag in NEVER:
             self.never = True
         elif tag == "header":
             self.never = self.never or not self.good
         elif tag in GOOD_TAGS:
             self.good = True
+            self.part = self.talk
         if attributes and tag not in ("html", "body"):
             self._cues(attributes)
 
@@ -72,6 +79,9 @@ class Element:
                 if any(w in NEVER_WORDS for w in whole):
                     self.never = True
                 parts = {p for w in whole for p in re.split(r"[-_]+", w)}
+                if len(parts) > len(whole) or len(whole) > 1:
+                    self.part = self.part or bool(parts & PART_WORDS and not parts & LAYOUT_WORDS)
+                    self.talk = self.talk or bool(parts & TALK_WORDS)
                 if parts & GOOD_WORDS:
                     self.odds = 2.0
                 elif parts & DOUBT_WORDS:
@@ -192,7 +202,7 @@ def content_odds(b: Block, has_main: bool) -> float:
         odds += 6.0
     elif has_main:
         odds -= 6.0
-    return odds
+    return odds - 14.0 if e.part else odds
 
 
 class Cut:
