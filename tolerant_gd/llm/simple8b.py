@@ -16,7 +16,9 @@ from __future__ import annotations
 
 import functools
 import struct
+import sys
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -155,8 +157,19 @@ def _library_ids(path: str):
     """text -> ids as little-endian u4 bytes, by the tokenizers library's model on cached pieces of text."""
     bpe = WordBpe(path)
     model = bpe.library.model
-    words = PieceCache(lambda w: np.array([t.id for t in model.tokenize(bpe.symbols(w))], "<u4").tobytes(), 150_000)
-    pieces = PieceCache(lambda c: b"".join([words[w] for w in bpe.words(c)]))
+    if array("I").itemsize != 4 or sys.byteorder != "little":
+        raise RuntimeError("packed ids are little-endian u4")
+
+    def one(chunk: str) -> bytes:
+        if two := bpe.stem_and_mark(chunk):
+            return pieces[two[0]] + pieces[two[1]]
+        found = bpe.words(chunk)
+        if len(found) == 1:
+            return array("I", [t.id for t in model.tokenize(bpe.symbols(found[0]))]).tobytes()
+        return b"".join([words[w] for w in found])
+
+    words = PieceCache(lambda w: array("I", [t.id for t in model.tokenize(bpe.symbols(w))]).tobytes(), 100_000)
+    pieces = PieceCache(one)
     added = {t: np.array([i], "<u4").tobytes() for t, i in bpe.added.items()}
 
     def encode(text: str) -> bytes:

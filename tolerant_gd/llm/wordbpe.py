@@ -109,16 +109,27 @@ class WordBpe:
 
     def words(self, chunk: str) -> list[str]:
         """Words of one chunk.  Code points that this Python does not know as assigned are left to the library."""
-        if not chunk.isascii() and any(unicodedata.category(c) == "Cn" for c in chunk):
+        if chunk.isascii():
+            return [chunk] if chunk.isalpha() else word_pattern().findall(chunk)
+        if any(unicodedata.category(c) == "Cn" for c in chunk):
             steps = self.library
             found = steps.pre_tokenizer.pre_tokenize_str(steps.normalizer.normalize_str(chunk))
             back = {c: b for b, c in enumerate(byte_alphabet())}
             return [bytes(back[c] for c in w).decode("utf-8", "surrogatepass") for w, _ in found]
         return word_pattern().findall(chunk)
 
+    @staticmethod
+    def stem_and_mark(chunk: str) -> tuple[str, str] | None:
+        """A chunk of ASCII letters and one closing mark, as its two words; None for other chunks."""
+        if len(chunk) > 1 and chunk.isascii() and not chunk[-1].isalnum() and chunk[:-1].isalpha():
+            return chunk[:-1], chunk[-1]
+        return None
+
     @staticmethod
     def symbols(word: str) -> str:
         """The word in the byte alphabet, one character per UTF-8 byte."""
+        if word.isascii() and word.isalnum():
+            return word
         table = byte_alphabet()
         return "".join([table[b] for b in word.encode("utf-8", "surrogatepass")])
 
@@ -129,7 +140,7 @@ class PieceCache(dict):
     When the young generation is full it becomes the old one; what is still in use moves back from there.
     """
 
-    def __init__(self, make, limit: int = 450_000):
+    def __init__(self, make, limit: int = 600_000):
         super().__init__()
         self.make, self.limit, self.old = make, limit, {}
 
