@@ -68,7 +68,7 @@ ORACLES["stream_late"] = f"WITH e AS ({_completed_sql(True, 18)}) SELECT round,
 
 
 def _for_each(s, d):
-    """Arrivals written batch by batch to a keyed sink, then read back: no message is lost or doubled."""
+    """Arrivals counted batch by batch, by batch number, so that a repeated batch counts once: no message is lost or doubled."""
     counts: dict[int, int] = {}
 
     def keep(batch, number):

@@ -235,8 +235,7 @@ ORACLES["w12_claims"] = "SELECT claim, true AS holds FROM (VALUES ('multi-messag
 def _hybrid(s, d):
     """One worker ten times as fast: hybrid and repetition end with it, layered codes wait for others."""
     lat = latency.measured_units(s, d, 40, 20, SEED).where("worker < 5").withColumn("unit", F.when(F.col("worker") == 2, F.expr("unit div 10")).otherwise(F.col("unit")))
-    schemes = [scheme("gradcode_hybrid", 5, 5, orders=(5, 3)), scheme("gradcode_repeat", 5, 5), scheme("gradcode_layered", 5, 5, orders=(5, 3))]
-    return recover.complete(recover.arrivals(lat, layout.message_table(s, schemes))).groupBy("scheme").agg(F.sum("t").alias("t"), F.sum("load").alias("load"))
+    return recover.complete(recover.arrivals(lat, layout.message_table(s, _HYBRID))).groupBy("scheme").agg(F.sum("t").alias("t"), F.sum("load").alias("load"))
 
 
 _HYBRID = [scheme("gradcode_hybrid", 5, 5, orders=(5, 3)), scheme("gradcode_repeat", 5, 5), scheme("gradcode_layered", 5, 5, orders=(5, 3))]

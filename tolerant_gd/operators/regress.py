@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from tolerant_gd.sources.tables import materialise
+
 EXACT = "decimal(38,0)"
 
 
@@ -149,7 +151,8 @@ def split_balanced(df: DataFrame, K: int, key: list[str]) -> DataFrame:
     """
     spark = df.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    dealt = df.repartitionByRange(parts, *key).sortWithinPartitions(*key).withColumn("_part", F.spark_partition_id())
+    # range borders come from a sample, so the dealt table is written once: counts and ranks must see the same borders
+    dealt = materialise(df.repartitionByRange(parts, *key).withColumn("_part", F.spark_partition_id()), "dealt")
     sizes = dealt.groupBy("_part").agg(F.count("*").alias("_n"))
     before = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_before"), F.sum("_n").over(Window.partitionBy(F.lit(0))).alias("_all"))
     own = F.row_number().over(Window.partitionBy("_part").orderBy(*key)) - 1

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -40,6 +43,21 @@ def write_files(df: DataFrame, path: str, kind: str = "parquet", by: list[str] |
     (writer.partitionBy(*by) if by else writer).format(kind).save(path)
 
 
+def materialise(df: DataFrame, name: str) -> DataFrame:
+    """Write ``df`` once to the folder that executors share, and read it back: what follows sees one and the same table.
+
+    The folder is ``spark.checkpoint.dir``; where that is unset (tests on one machine), a new one.
+    """
+    spark = df.sparkSession
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        folder = "file://" + tempfile.mkdtemp(prefix="shared-")
+        spark.conf.set("spark.checkpoint.dir", folder)
+    path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def exact_sample(spark: SparkSession, sf_dir: str, K: int) -> DataFrame:
     """Integer regression data: batch, x0..x4 = 1, quantity, discount in %, tax in %, line number; y in cents."""
     li = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_quantity", "l_discount", "l_tax", "l_linenumber", "l_extendedprice")
