@@ -2,8 +2,8 @@
 
 Merges apply in rank order.  What comes after a cut of the input can change tokens left
 of it only through a chain of merges: one that straddles the cut, then later-ranked ones
-that each reach further left and contain the left half of the one before.  The longest
-such chain gives the merge list's sufficient lookahead L: a token that ends L symbols
+that each begin further left, hold the left half of the one before and read the same text
+where they meet.  The longest such chain gives the merge list's sufficient lookahead L: a token that ends L symbols
 before the end of what has been read is final.  So a window of fixed size gives the exact
 tokens of a word of any length: final tokens leave, the rest waits for more input.
 
@@ -72,19 +72,28 @@ class MergeTransducer:
 
 
 def sufficient_lookahead(merges: list[tuple[str, str]]) -> int:
-    """An upper bound, in symbols, of how far left of a cut unseen input can change tokens."""
-    reach: dict[str, int] = {}  # by left half: how far left of the cut a chain that ends in such a merge begins
+    """An upper bound, in symbols, of how far left of a cut unseen input can change tokens.
+
+    A later merge can only be given or denied by an earlier one that starts inside it, and both are read off the
+    same text: from there on, one of the two strings begins with the other.
+    """
+    whole_reach: dict[str, int] = {}  # by merged string: how far left of the cut a chain that ends in it begins
+    begin_reach: dict[str, int] = {}  # the most of that over merged strings that begin so, their left half included
     most = 1
     for left, right in merges:
         whole = left + right
         far = len(whole) - 1  # straddles the cut itself
         for at in range(1, len(whole)):
-            for end in range(at + 1, len(whole) + 1):
-                if (before := reach.get(whole[at:end])) is not None and before + at > far:
-                    far = before + at
+            before = begin_reach.get(whole[at:], 0)
+            for end in range(at + 1, len(whole)):
+                before = max(before, whole_reach.get(whole[at:end], 0))
+            if before:
+                far = max(far, before + at)
         most = max(most, far)
-        if reach.get(left, 0) < far:
-            reach[left] = far
+        whole_reach[whole] = max(far, whole_reach.get(whole, 0))
+        for end in range(len(left), len(whole) + 1):
+            if begin_reach.get(whole[:end], 0) < far:
+                begin_reach[whole[:end]] = far
     return most
 
 
@@ -121,7 +130,7 @@ class Codec:
         self.bpe = WordBpe(path)
         self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix)
         # one cache entry a piece of text: its ids, written out, and what they decode to
-        self.words = PieceCache(self._word, 150_000)
+        self.words = PieceCache(self._word, 100_000)
         self.pieces = PieceCache(self._piece)
 
     def _word(self, word: str) -> tuple[str, str]:
@@ -133,7 +142,13 @@ class Codec:
         return "".join([machine.feed(self.bpe.token_of[i]) for i in ids]) + machine.close()
 
     def _piece(self, chunk: str) -> tuple[str, str]:
-        found = [self.words[w] for w in self.bpe.words(chunk)]
+        if two := self.bpe.stem_and_mark(chunk):
+            (a, x), (b, y) = self.pieces[two[0]], self.pieces[two[1]]
+            return f"{a} {b}", f"{x} {y}"
+        words = self.bpe.words(chunk)
+        if len(words) == 1:
+            return self._word(words[0])
+        found = [self.words[w] for w in words]
         return " ".join([a for a, _ in found]), " ".join([b for _, b in found])
 
     def encode(self, text: str) -> list[int]:
