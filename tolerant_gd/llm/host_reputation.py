@@ -32,7 +32,7 @@ def lowered(c: Column) -> Column:
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
-    at = F.coalesce(F.locate("://", url), F.lit(0)) if isinstance(url, str) else F.coalesce(F.instr(url, "://"), F.lit(0))
+    at = F.coalesce(F.instr(url, "://"), F.lit(0))
     rest = F.when(at > 0, F.substring(url, at + 3, F.length(url))).otherwise(F.lit(""))
     return lowered(F.regexp_extract(rest, "^[^/?#]*", 0)), F.regexp_extract(rest, r"^[^/?#]*([^?#]*)", 1)
 
