@@ -108,11 +108,13 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_chars:
     """``keep`` columns (default doc_id) with n_words, hits (ordinals of hit words) and items (sorted ids)."""
     keep = keep or ["doc_id"]
     spark, parts = docs.sparkSession, slices(benchmark, slice_chars)
-    rows = docs.select(*(F.col(c) for c in keep), F.col("text").alias("_text"))
+    inside = keep == ["_whole"]  # a packed row holds the text already
+    rows = docs.select(*(F.col(c) for c in keep), *([] if inside else [F.col("text").alias("_text")]))
     found = None
     if len(parts) > 1:
         rows = rows.withColumn("_row", F.xxhash64(*[F.col(c) for c in rows.columns]))
     names = [c for c in rows.columns if c != "_text"]
+    names_at = len(names)
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
     schema = ", ".join(f"`{c}` {kinds[c]}" for c in names) + ", n_words long, hits array<int>, items array<string>"
     for part in parts:
@@ -121,11 +123,12 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_chars:
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             windows = held.value
             for batch in batches:
-                result = list(windows.scan(batch.column(batch.num_columns - 1)))
+                result = list(windows.scan(batch.column(0).field("text") if inside else batch.column(names_at)))
                 out = [pa.array([r[1] for r in result], pa.int64()), pa.array([r[2] for r in result], pa.list_(pa.int32())), pa.array([sorted(r[3]) for r in result], pa.list_(pa.string()))]
-                yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *out], [*names, "n_words", "hits", "items"])
+                yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], *out], [*names, "n_words", "hits", "items"])
+            pa.default_memory_pool().release_unused()
 
-        one = rows.select(*names, "_text").mapInArrow(run, schema)
+        one = rows.select(*names, *([] if inside else ["_text"])).mapInArrow(run, schema)
         found = one if found is None else found.unionByName(one)
     if len(parts) > 1:  # equal rows have equal results, so they may share a group; their number is kept
         many = found.groupBy(*names).agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hits")))).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), (F.count("*") / len(parts)).cast("int").alias("_n"))
@@ -141,7 +144,7 @@ def report(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_char
 
 def _packed(docs: DataFrame) -> DataFrame:
     """The whole row in one column, so that no name of ``docs`` can clash with ours."""
-    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"), "text")
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"))
 
 
 def remove_documents(docs: DataFrame, benchmark: DataFrame, max_share: float = 0.0, size: int = WINDOW) -> DataFrame:

@@ -191,7 +191,8 @@ def predict(docs: DataFrame, model: Model | None, keep: list[str] | None = None)
     """``keep`` columns (default doc_id) with lang_pred, score (posterior under equal priors) and bits_per_byte."""
     keep = keep or ["doc_id"]
     held = docs.sparkSession.sparkContext.broadcast(model)
-    rows = docs.select(*(F.col(c) for c in keep), F.col("text").alias("_text"))
+    inside = keep == ["_whole"]  # a packed row holds the text already
+    rows = docs.select(*(F.col(c) for c in keep), *([] if inside else [F.col("text").alias("_text")]))
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
     schema = ", ".join(f"`{c}` {kinds[c]}" for c in keep) + ", lang_pred string, score double, bits_per_byte double"
 
@@ -199,7 +200,7 @@ def predict(docs: DataFrame, model: Model | None, keep: list[str] | None = None)
         model = held.value
         for batch in batches:
             names, scores, rates = [], [], []
-            for _, raw, offsets in texts(batch.column(batch.num_columns - 1)):
+            for _, raw, offsets in texts(batch.column(0).field("text") if inside else batch.column(batch.num_columns - 1)):
                 known = _letters(raw, offsets)
                 if model is None:
                     known[:] = False
@@ -211,7 +212,8 @@ def predict(docs: DataFrame, model: Model | None, keep: list[str] | None = None)
                 scores += np.where(known, posterior, 0.0).tolist()
                 rates += np.where(known, least / np.maximum(1, np.diff(offsets)), 0.0).tolist()
             out = [pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(rates, pa.float64())]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *out], [*keep, "lang_pred", "score", "bits_per_byte"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], *out], [*keep, "lang_pred", "score", "bits_per_byte"])
+        pa.default_memory_pool().release_unused()
 
     return rows.mapInArrow(run, schema)
 
@@ -224,6 +226,6 @@ def identify(docs: DataFrame) -> DataFrame:
 
 def accept(docs: DataFrame, least_score: float = 0.5, most_bits: float = 7.0) -> DataFrame:
     """Documents in a known language, all columns as they were: not ``und``, likelier than not, shorter coded than noise."""
-    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"), "text")  # no name of docs can clash
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_whole"))  # no name of docs can clash
     found = predict(packed, fit(docs), keep=["_whole"])
     return found.where((F.col("lang_pred") != "und") & (F.col("score") >= least_score) & (F.col("bits_per_byte") <= most_bits)).select("_whole.*")
