@@ -6,7 +6,9 @@ more characters of an encoding alphabet that hold a letter and a digit.  A windo
 slides over each; Shannon entropy follows from counts that change by one character out and
 one in.  A candidate's character class (hex digits, letters and digits, all) sets the
 entropy that a window must reach; the span runs from the first such window to the end of
-the last.  Candidates that match the allow-list, or that touch a base span, are left out.
+the last.  Base spans are cut out of a candidate first: what is left on either side is a
+candidate of its own if it has 20 characters.  Separators beside a cut do not count for its
+class.  Candidates that match the allow-list are left out.
 
 Offsets are code points, ends exclusive.  Null text is empty text and has no spans; ties in
 start are ordered by kind as listed; every row gives a row.  No part runs in Python.
@@ -37,6 +39,8 @@ ALLOWED = (
     r"^[A-Za-z]*(?:[-_/=+]+[A-Za-z]+|[-_/=+]+[0-9]{1,6})*[-_/=+]*$",
     r"(?i)example|sample|placeholder|dummy|changeme|0123456789|abcdefgh|(.)\1{5}",
 )
+#: Separators at the ends of a part.
+EDGES = "^[+/_=-]+|[+/_=-]+$"
 _XLOGX = [0.0] + [c * math.log2(c) for c in range(1, WINDOW + 1)]
 
 
@@ -68,11 +72,30 @@ def _none() -> Column:
     return F.array().cast("array<struct<start:int,kind:int,end:int>>")
 
 
-def _entropy_bounds(s: Column) -> Column:
+def _parts(run: Column) -> Column:
+    """Structs (start, end, cut) of what base spans (in order of start) leave of a run, if long enough for a window."""
+
+    def part(start: Column, end: Column) -> Column:
+        return F.struct(start.alias("start"), end.alias("end"), F.lit(True).alias("cut"))
+
+    def split(acc: Column, b: Column) -> Column:
+        longer = F.concat(acc["out"], F.array(part(acc["at"], b["start"])))
+        return F.struct(F.greatest(acc["at"], b["end"]).alias("at"), F.when(b["start"] - acc["at"] >= WINDOW, longer).otherwise(acc["out"]).alias("out"))
+
+    def close(acc: Column) -> Column:
+        return F.when(run["end"] - acc["at"] >= WINDOW, F.concat(acc["out"], F.array(part(acc["at"], run["end"])))).otherwise(acc["out"])
+
+    touching = F.filter("base", lambda b: (b["start"] < run["end"]) & (b["end"] > run["start"]))
+    whole = F.array(F.struct(run["start"].alias("start"), run["end"].alias("end"), F.lit(False).alias("cut")))
+    start = F.struct(run["start"].alias("at"), F.array().cast("array<struct<start:int,end:int,cut:boolean>>").alias("out"))
+    return F.when(F.size(touching) == 0, whole).otherwise(F.aggregate(touching, start, split, close))
+
+
+def _entropy_bounds(s: Column, cut: Column) -> Column:
     """(first, last) start of windows of ``s`` whose entropy reaches the class's bound; first is -1 if none does."""
-    least = F.lit(CLASSES[-1][2])
+    least, inner = F.lit(CLASSES[-1][2]), F.when(cut, F.regexp_replace(s, EDGES, "")).otherwise(s)
     for _, pattern, bound in reversed(CLASSES[:-1]):
-        least = F.when(s.rlike(pattern), F.lit(bound)).otherwise(least)
+        least = F.when(inner.rlike(pattern), F.lit(bound)).otherwise(least)
     most = (F.lit(math.log2(WINDOW)) - least) * WINDOW + 1e-9  # of the sum of c log2 c
     table = F.array(*[F.lit(v) for v in _XLOGX])
 
@@ -120,18 +143,20 @@ def scan(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
     base = F.concat(_only(_spans(F.col("_assign"), 0), F.col("_assign_ok")), _only(_spans(F.col("_access"), 1), F.col("_access_ok")), _spans(F.col("_hex"), 2))
     rows = rows.select(*keep, "_text", F.array_sort(base).alias("base"), _spans(F.col("_runs"), 3).alias("_runs"))
 
+    rows = rows.select(*keep, "_text", "base", F.when(F.size("_runs") > 0, F.flatten(F.transform("_runs", _parts))).alias("_runs"))
+
     def value(r: Column) -> Column:
         return F.substring(text, r["start"] + 1, r["end"] - r["start"])
 
     def wanted(r: Column) -> Column:
         s = value(r)
-        fine = s.rlike("[0-9]") & s.rlike("[A-Za-z]") & ~F.exists("base", lambda b: (b["start"] < r["end"]) & (b["end"] > r["start"]))
+        fine = s.rlike("[0-9]") & s.rlike("[A-Za-z]")
         for pattern in ALLOWED:
             fine = fine & ~s.rlike(pattern)
         return fine
 
     runs = F.filter("_runs", wanted)
-    bounds = F.transform(runs, lambda r: F.struct(r["start"].alias("start"), _entropy_bounds(value(r)).alias("b")))
+    bounds = F.transform(runs, lambda r: F.struct(r["start"].alias("start"), _entropy_bounds(value(r), r["cut"]).alias("b")))
     rows = rows.select(*keep, "_text", "base", F.when(F.size("_runs") > 0, bounds).alias("_bounds"))
     entropy = F.transform(F.filter("_bounds", lambda x: x["b"]["first"] >= 0), lambda x: F.struct((x["start"] + x["b"]["first"]).alias("start"), F.lit(3).alias("kind"), (x["start"] + x["b"]["last"] + WINDOW).alias("end")))
     return rows.select(*keep, "_text", "base", F.array_sort(F.concat("base", F.coalesce(entropy, _none()))).alias("found"))
