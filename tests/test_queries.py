@@ -116,3 +116,30 @@ def test_plans_are_what_they_should_be(spark, sf, capsys):
     filtered = spark.read.parquet(f"{sf}/lineitem.parquet").where(F.col("l_quantity") > 49).select("l_orderkey")
     filtered.explain("formatted")
     assert "PushedFilters: [IsNotNull(l_quantity), GreaterThan(l_quantity,49.0)]" in capsys.readouterr().out
+
+
+def test_cross_products_of_blocks_cover_all_rows(spark, sf):
+    """Every row is in the cross products; messages decoded from them are exact, and their residual is that of the rows."""
+    from tolerant_gd.operators import lagrange
+
+    xs, K = [f"x{i}" for i in range(5)], 6
+    rows = exact_sample(spark, sf, K)
+    grams = lagrange.cross_grams(regress.pad_blocks(rows, ["l_orderkey", "x4", "y", "x1", "x2", "x3"]), xs, K)
+    x = np.array(rows.select(*xs).collect(), np.int64)
+    z = [1000, 2000, -300, 50, 7]
+    assert (sum(grams[b, b] for b in range(K)) == x.T @ x).all()
+    for r, polys in ((3, 3), (3, 1), (4, 2)):
+        code = lagrange.Code(K, r, polys)
+        sent = lagrange.message_grams(grams, code)
+        last = list(range(K * code.draws))[-code.threshold :]
+        assert lagrange.decode_product(sent, z, code, last) == (x.T @ x @ np.array(z)).tolist()
+        sent[last[0]] = sent[last[0]] + 1
+        assert lagrange.decode_product(sent, z, code, last) != (x.T @ x @ np.array(z)).tolist()
+        floats = lagrange.Code(K, r, polys, exact=False)
+        assert lagrange.gram_residual(grams, z, floats, list(range(floats.threshold))) < 1e-3
+
+
+def test_whole_tables_are_in_the_lagrange_queries():
+    for name in [f"lagrange_decode_{n}_whole" for n in ("single", "multi", "two_polys", "padded")] + ["lagrange_encode_rows_whole"]:
+        assert name in QUERIES
+        assert "l_orderkey <=" not in ORACLES[name]

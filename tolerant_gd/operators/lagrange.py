@@ -151,6 +151,74 @@ def float_residual(x, theta, K: int, r: int, polys: int, received: list[int]) ->
     return float(np.linalg.norm(got - want) / np.linalg.norm(want))
 
 
+def cross_grams(aligned: DataFrame, xs: list[str], K: int):
+    """Array (K, K, d, d) of X_b'X_c of all pairs of blocks, rows paired by ``pos``; exact integers.
+
+    Every task sums its own positions; (K d)^2 numbers a task are shuffled and reach the driver as sums.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    d = len(xs)
+
+    def run(batches):
+        total = np.zeros((K * d, K * d), np.int64)
+        for batch in batches:
+            m = np.zeros((batch.num_rows, K, d), np.int64)
+            cells = batch.column(0)
+            flat = cells.flatten()
+            row = np.repeat(np.arange(batch.num_rows), np.diff(cells.offsets.to_numpy()))
+            block = flat.field("batch").to_numpy()
+            for i, x in enumerate(xs):
+                m[row, block, i] = flat.field(x).to_numpy()
+            wide = m.reshape(batch.num_rows, K * d)
+            total += wide.T @ wide
+        a, b = np.nonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int32()), pa.array(b, pa.int32()), pa.array(total[a, b])], ["a", "b", "v"])
+
+    cells = aligned.groupBy("pos").agg(F.collect_list(F.struct("batch", *[F.col(x).cast("bigint").alias(x) for x in xs])).alias("cs")).select("cs")
+    out = np.zeros((K * d, K * d), np.int64)
+    for r in cells.mapInArrow(run, "a int, b int, v bigint").groupBy("a", "b").agg(F.sum("v").alias("v")).collect():
+        out[r["a"], r["b"]] = r["v"]
+    return out.reshape(K, d, K, d).transpose(0, 2, 1, 3)
+
+
+def message_grams(grams, code: Code) -> list:
+    """X~'X~ of every message, summed over its groups, from cross products of blocks; in the field as Python integers, or in floats."""
+    import numpy as np
+
+    kind, out = (object if code.exact else float), []
+    cells = np.asarray(grams).astype(kind)
+    for _, _, w in code.encode_coefs():
+        total = np.zeros(cells.shape[2:], kind)
+        for b in range(code.K):
+            for c in range(code.K):
+                if b // code.blocks == c // code.blocks:
+                    total = total + w[b % code.blocks] * w[c % code.blocks] * cells[b, c]
+        out.append(total % PRIME if code.exact else total)
+    return out
+
+
+def decode_product(sent: list, z: list[int], code: Code, received: list[int]) -> list[int]:
+    """X'X z as signed integers (below half the prime) from values of the received messages alone."""
+    total = [0] * len(z)
+    for i, w in code.decode_coefs(received):
+        value = [sum(int(g) * t for g, t in zip(row, z, strict=True)) % PRIME for row in sent[i]]
+        total = [(a + w * v) % PRIME for a, v in zip(total, value, strict=True)]
+    return [v - PRIME if v > PRIME // 2 else v for v in total]
+
+
+def gram_residual(grams, theta, code: Code, received: list[int]) -> float:
+    """``float_residual`` of a table of any size, from its cross products."""
+    import numpy as np
+
+    theta = np.asarray(theta, float)
+    sent = message_grams(grams, code)
+    got = sum(w * (sent[i] @ theta) for i, w in code.decode_coefs(received))
+    want = sum(np.asarray(grams[b, b], float) for b in range(code.K)) @ theta
+    return float(np.linalg.norm(got - want) / np.linalg.norm(want))
+
+
 def mds_gram(K: int, need: int, groups: int) -> list[list[int]]:
     """Vandermonde weights of ``K`` coded copies of ``need`` row groups of the Gram matrix; any ``need`` rows are invertible."""
     if groups != need:
