@@ -143,3 +143,17 @@ def test_whole_tables_are_in_the_lagrange_queries():
     for name in [f"lagrange_decode_{n}_whole" for n in ("single", "multi", "two_polys", "padded")] + ["lagrange_encode_rows_whole"]:
         assert name in QUERIES
         assert "l_orderkey <=" not in ORACLES[name]
+
+
+@pytest.mark.parametrize("name,polys", [("lagrange_multi", 1), ("lagrange_multi", 3), ("lagrange_single", None)])
+def test_lagrange_descent_uses_its_messages(spark, sf, monkeypatch, name, polys):
+    """The decoded descent equals the plain one, and no longer does so with one wrong weight."""
+    from tolerant_gd.operators import lagrange
+
+    sample, scale = exact_sample(spark, sf, 6).select("batch", "x0", "x1", "y"), (1.0, 0.02, 1e-7)
+    s = scheme(name, 6, 3, **({"polys": polys} if polys else {}))
+    want = train.descend(sample, 3, 1e-4, scale)[-1]
+    assert np.allclose(train.coded_descend(sample, s, 3, 1e-4, scale)[-1], want, rtol=1e-9)
+    right = lagrange.Code.decode_coefs
+    monkeypatch.setattr(lagrange.Code, "decode_coefs", lambda self, got: [(i, w + (k == 0)) for k, (i, w) in enumerate(right(self, got))])
+    assert not np.allclose(train.coded_descend(sample, s, 3, 1e-4, scale)[-1], want, rtol=1e-9)
