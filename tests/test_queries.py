@@ -157,3 +157,7 @@ def test_lagrange_descent_uses_its_messages(spark, sf, monkeypatch, name, polys)
     right = lagrange.Code.decode_coefs
     monkeypatch.setattr(lagrange.Code, "decode_coefs", lambda self, got: [(i, w + (k == 0)) for k, (i, w) in enumerate(right(self, got))])
     assert not np.allclose(train.coded_descend(sample, s, 3, 1e-4, scale)[-1], want, rtol=1e-9)
+
+
+def test_window_ranks_of_all_orders(spark, sf):
+    assert QUERIES["op_window_ranks_whole"](spark, sf).count() == spark.read.parquet(f"{sf}/orders.parquet").count()

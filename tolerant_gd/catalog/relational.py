@@ -166,11 +166,21 @@ def _strategies(s, d):
     return out
 
 
-@add("op_window_ranks", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WHERE o_custkey < 300 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
-def _ranks(s, d):
+def _ranked(orders):
+    """Ranks, tiles, lags and running sums of every customer's orders."""
     w = Window.partitionBy("o_custkey").orderBy("o_orderkey")
     p = Window.partitionBy("o_custkey").orderBy("o_orderpriority")
-    return read(s, d, "orders").where("o_custkey < 300").select("o_custkey", "o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(p).alias("rk"), F.dense_rank().over(p).alias("dr"), F.ntile(3).over(w).alias("third"), F.lag("o_orderkey").over(w).alias("before"), F.sum(F.round(F.col("o_totalprice") * 100).cast("bigint")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"))
+    return orders.select("o_custkey", "o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(p).alias("rk"), F.dense_rank().over(p).alias("dr"), F.ntile(3).over(w).alias("third"), F.lag("o_orderkey").over(w).alias("before"), F.sum(F.round(F.col("o_totalprice") * 100).cast("bigint")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"))
+
+
+@add("op_window_ranks", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WHERE o_custkey < 300 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
+def _ranks(s, d):
+    return _ranked(read(s, d, "orders").where("o_custkey < 300"))
+
+
+@add("op_window_ranks_whole", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
+def _ranks_whole(s, d):
+    return _ranked(read(s, d, "orders"))
 
 
 @add("op_window_distribution", "SELECT c_custkey, round(cume_dist() OVER w, 6) AS cd, round(percent_rank() OVER w, 6) AS pr, first_value(c_custkey) OVER w AS f, max(c_acctbal) OVER (PARTITION BY c_mktsegment ORDER BY c_custkey ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS near FROM customer WINDOW w AS (PARTITION BY c_mktsegment ORDER BY c_custkey)")
