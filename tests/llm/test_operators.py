@@ -8,6 +8,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from tolerant_gd.llm import bytewords, decontaminate, host_reputation, iso_media, mincut_html, ppm_language, rule_ensemble, secret_scan, signature_tree, simple8b, transducer
@@ -410,6 +411,34 @@ def test_one_large_group_in_pieces(spark):
     assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in got) == plain_components(rows)
 
 
+def near_group(n=150):
+    rng = np.random.default_rng(9)
+    rows = []
+    for d in range(n):
+        own = [f"w{i}" for i in range(120)]
+        for i in rng.integers(0, 120, int(rng.integers(1, 4))):
+            own[i] = f"n{d}-{i}"
+        rows += [(1000 + d, " ".join(own))] * (1 + d % 3 // 2)
+    return rows
+
+
+@pytest.mark.parametrize("piece", [3_000, 20])
+def test_every_link_is_counted(spark, piece):
+    """Chains, closed groups, pieces of a block and equal sets: each row's links are those of a plain comparison of all pairs."""
+    three = [(i, " ".join(w if k != i else f"q{i}" for k, w in enumerate(f"t{k}" for k in range(200)))) for i in (20, 60, 90)]
+    rows = [*ODD, *copies(3), *near_group(), *three]
+    sets = [set(s.tolist()) for s in signature_tree.shingle_sets(pa.array([t for _, t in rows], pa.string()))]
+    want = Counter()
+    for i, s in enumerate(sets):
+        linked = sum(1 for j, t in enumerate(sets) if i != j and s and t and 100 * len(s & t) >= 80 * len(s | t))
+        want[rows[i][0], len(s), linked] += 1
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = signature_tree.join(docs, piece, n_links=True).collect()
+    assert Counter((r.doc_id, r.n_shingles, r.n_links) for r in got) == want
+    assert [r.n_links for r in got if r.doc_id in (20, 60, 90)] == [2, 2, 2]
+    assert Counter(tuple(r)[:4] for r in got) == Counter(map(tuple, signature_tree.join(docs, piece).collect()))
+
+
 def test_tree_loses_no_pair():
     rng = np.random.default_rng(2)
     base = [np.unique(rng.integers(0, 2**63, int(rng.integers(5, 60))).astype(np.uint64)) for _ in range(12)]
