@@ -161,3 +161,11 @@ def test_lagrange_descent_uses_its_messages(spark, sf, monkeypatch, name, polys)
 
 def test_window_ranks_of_all_orders(spark, sf):
     assert QUERIES["op_window_ranks_whole"](spark, sf).count() == spark.read.parquet(f"{sf}/orders.parquet").count()
+
+
+def test_experiments_have_their_stated_sizes(spark, sf):
+    from tolerant_gd.catalog import workloads
+
+    assert QUERIES["w1_cdf_curves"](spark, sf).agg(F.sum("n")).first()[0] == 100_000
+    assert workloads._rounds.__defaults__[-1] == 1_000
+    assert {r.trials for r in QUERIES["w10_congestion_whole"](spark, sf).collect()} == {1_000}

@@ -13,7 +13,8 @@ from tolerant_gd.sources.tables import exact_sample, read
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
-WORKERS, SEED, TRIALS = 20, 1, 10
+#: TRIALS is what the SQL of the measured scenarios replays; their _whole forms have FULL_TRIALS, as have the successive rounds.
+WORKERS, SEED, TRIALS, FULL_TRIALS, REALIZATIONS = 20, 1, 10, 1_000, 100_000
 
 # Order vectors and shares are blank in the reference; these are choices of this project.
 BARS = [
@@ -46,7 +47,7 @@ def seven(r: int) -> list[Scheme]:
 # Model-based -----------------------------------------------------------------------------------
 
 
-def _cdf_agreement(s, n: int = 20_000):
+def _cdf_agreement(s, n: int = REALIZATIONS):
     """Points of a grid where simulation and closed form differ by at most four standard errors (and 1e-3)."""
     cases = [c for K, r in ((6, 3), (10, 5)) for c in (scheme("gradcode_single", K, r), scheme("lagrange_single", K, r), scheme("lagrange_multi", K, r))]
     grid = [0.05 * k for k in range(1, 21)]
@@ -59,7 +60,7 @@ def _cdf_agreement(s, n: int = 20_000):
 
 QUERIES["w1_cdfs"] = lambda s, d: _cdf_agreement(s)
 ORACLES["w1_cdfs"] = "SELECT n AS scheme, K, r, 20 AS points, 20 AS agree FROM (VALUES ('gradcode_single'), ('lagrange_single'), ('lagrange_multi')) a(n), (VALUES (6, 3), (10, 5)) b(K, r)"
-QUERIES["w1_cdf_curves"] = lambda s, d: simulate.trials(s, [scheme("lagrange_multi", 6, 3)], 20_000).groupBy(F.floor(F.col("t") * 50).alias("bin")).agg(F.count("*").alias("n"))
+QUERIES["w1_cdf_curves"] = lambda s, d: simulate.trials(s, [scheme("lagrange_multi", 6, 3)], REALIZATIONS).groupBy(F.floor(F.col("t") * 50).alias("bin")).agg(F.count("*").alias("n"))
 QUERIES["w2_bars"] = lambda s, d: simulate.sweep(s, BARS, 20_000)
 
 
@@ -152,16 +153,17 @@ SELECT scheme, CAST(p10 AS INT) AS p10, CAST(delay AS INT) AS delay, CAST(sum(t)
 
 
 def _register(name: str, cases: list[tuple]) -> None:
-    """Cases of (schemes, grid, mean, service), united."""
+    """Cases of (schemes, grid, mean, service), united; ``name``_whole has no SQL, only more trials of the same plan."""
 
-    def query(s, d):
+    def query(s, d, trials=TRIALS):
         out = None
         for schemes, grid, mean, service in cases:
-            one = scenario(s, d, schemes, grid, TRIALS, mean, service).withColumn("service", F.lit(service))
+            one = scenario(s, d, schemes, grid, trials, mean, service).withColumn("service", F.lit(service))
             out = one if out is None else out.unionByName(one)
         return out
 
     QUERIES[name] = query
+    QUERIES[f"{name}_whole"] = lambda s, d: query(s, d, FULL_TRIALS)
     ORACLES[name] = " UNION ALL ".join(f"SELECT *, {service} AS service FROM ({scenario_sql(schemes, grid, TRIALS, mean, service)})" for schemes, grid, mean, service in cases)
 
 
@@ -176,7 +178,7 @@ _register("w10_congestion", [(_ORTHOGONAL, [(2, 12000), (2, 24000)], 0, service)
 
 def _scenario_claims(s, d):
     """Signs the measured scenarios show: more messages pay at high load; slower links and longer delays cost time."""
-    rows = {(r["scheme"], r["p10"], r["delay"], r["mean_us"], r["r"]): r["avg_t"] for r in QUERIES["w4_scenario1"](s, d).unionByName(QUERIES["w6_scenario2_r6"](s, d)).collect()}
+    rows = {(r["scheme"], r["p10"], r["delay"], r["mean_us"], r["r"]): r["avg_t"] for r in QUERIES["w4_scenario1_whole"](s, d).unionByName(QUERIES["w6_scenario2_r6_whole"](s, d)).collect()}
     claims = [
         ("multi-message Lagrange wins at load six without slow links", all(rows["lagrange_multi", 2, x, 0, 6] < rows["lagrange_single", 2, x, 0, 6] for x in (6000, 12000))),
         ("shared codes beat layered ones at load six", all(rows["gradcode_shared", 2, x, 0, 6] < rows["gradcode_layered", 2, x, 0, 6] for x in DELAYS)),
@@ -201,7 +203,7 @@ def five(r: int) -> list[Scheme]:
     return [c for c in seven(r) if c.name not in ("gradcode_shared", "gradcode_layered")]
 
 
-def _rounds(s, d, schemes, grid, carry: bool, service: float = SERVICE, n: int = 200):
+def _rounds(s, d, schemes, grid, carry: bool, service: float = SERVICE, n: int = FULL_TRIALS):
     comp, comm = simulate.measured_arrays(s, d)
     return simulate.rounds(s, schemes, grid, n, comp, comm, carry, service)
 
