@@ -493,6 +493,16 @@ def test_languages_on_held_out_rows(spark):
     assert np.mean([r.lang_pred == r.lang for r in got]) > 0.98
 
 
+def test_languages_of_long_documents_only_are_learned(spark):
+    words = {"aa": "lorem ipsum dolor sit amet ", "bb": "zwei drei vier fünf sechs "}
+    rows = [(i, words["aa"] * 20, "aa") for i in range(40)] + [(100 + i, words["bb"] * 200, "bb") for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = ppm_language.fit(docs, sample_chars=1_000)
+    assert sorted(model.names) == ["aa", "bb"]
+    got = ppm_language.predict(docs, model).collect()
+    assert all(r.lang_pred == ("aa" if r.doc_id < 100 else "bb") for r in got)
+
+
 def test_language_of_odd_rows(spark, sf):
     docs = table(spark, sf, "documents").select("doc_id", "text", "lang")
     more = spark.createDataFrame([(10**6, None, "en"), (10**6 + 1, "123 $$$", "en"), (10**6 + 2, "", None), (10**6 + 3, "Ж", None)], docs.schema)

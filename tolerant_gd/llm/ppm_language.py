@@ -27,7 +27,7 @@ from tolerant_gd.llm.bytewords import texts
 
 ORDER = 4
 LEAST_COUNT = 40
-#: Bound of the training sample: whole documents per language, and characters of one.
+#: Bound of the training sample: documents per language, and characters of one (longer ones come last, and only their start is learned).
 SAMPLE_DOCS, SAMPLE_CHARS = 250, 30_000
 STRETCH = 256
 
@@ -165,12 +165,15 @@ def held_out(doc_id):
 
 
 def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> Model | None:
-    """A model of every language of the labelled rows, from at most ``sample_docs`` whole documents each."""
-    rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")) & (F.length("text") <= sample_chars))
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
+    """A model of every language of the labelled rows, from at most ``sample_docs`` documents each.
+
+    Documents of over ``sample_chars`` characters come last, and only their first ``sample_chars`` are learned.
+    """
+    rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
+    order = Window.partitionBy("lang").orderBy(F.length("text") > sample_chars, F.xxhash64("doc_id"), "doc_id")
     chosen = rows.select("lang", "doc_id", F.row_number().over(order).alias("r")).where(F.col("r") <= sample_docs)  # keys only
     samples: dict[str, list[bytes]] = {}
-    for lang, text in rows.join(F.broadcast(chosen.select("lang", "doc_id")), ["lang", "doc_id"], "left_semi").select("lang", "text").collect():
+    for lang, text in rows.join(F.broadcast(chosen.select("lang", "doc_id")), ["lang", "doc_id"], "left_semi").select("lang", F.substring("text", 1, sample_chars).alias("text")).collect():
         samples.setdefault(lang, []).append(text.encode("utf-8", "surrogatepass"))
     return Model({k: sorted(v)[: 2 * sample_docs] for k, v in samples.items()}) if samples else None
 
