@@ -11,7 +11,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from tolerant_gd.llm import bytewords, decontaminate, host_reputation, iso_media, mincut_html, ppm_language, rule_ensemble, secret_scan, signature_tree, simple8b, transducer
+from tolerant_gd.llm import bytewords, decontaminate, host_reputation, iso_media, mincut_html, ppm_language, rule_ensemble, secret_scan, signature_tree, simple8b, transducer, wordbpe
 from tolerant_gd.llm.components import components
 from tolerant_gd.llm.tables import table, tokenizer_path
 
@@ -142,6 +142,55 @@ def test_small_windows_change_nothing(library):
         assert c.encode(word) == library.encode(word, add_special_tokens=False).ids
 
 
+def test_words_longer_than_window_and_lookahead(library):
+    """Words of many times the machine's memory, inside runs without blanks, equal the library's."""
+    c = transducer.codec(tokenizer_path())
+    rng = np.random.default_rng(8)
+    reach = c.machine.window + c.machine.lookahead
+    parts = ["th", "e", "ing", "é", "ß", "on", "日本", "s", "er", "tion"]
+    words = ["".join(rng.choice(parts, 3 * reach)), "a" * (4 * reach), "!?" * (2 * reach), "".join(rng.choice([*parts, "'s", "'", "7", "-", "<|endoftext|>"], 3 * reach))]
+    for word in [*words, " ".join(words), "x y\n" * 9000 + words[0]]:
+        want = library.encode(word, add_special_tokens=False).ids
+        assert c.encode(word) == want
+        assert c.decode(want) == library.decode(want, skip_special_tokens=False)
+        fed = c.decoder()
+        assert "".join(fed.feed_ids(ids) for ids in c.stream(word)) + fed.close() == library.decode(want, skip_special_tokens=False)
+
+
+def test_blocks_change_nothing(monkeypatch, library):
+    monkeypatch.setattr(transducer, "BLOCK", 7)
+    c = transducer.codec(tokenizer_path())
+    rng = np.random.default_rng(9)
+    for _ in range(60):
+        text = "".join(rng.choice(["don't ", " ", "é\u0301", "\u0301", "\n", "Σ ", "ΑΣ", "<|endoftext|>", "abc", "'", "12 ", "\x1c", "\x85"], 60))
+        assert c.encode(text) == library.encode(text, add_special_tokens=False).ids
+
+
+def test_transducer_memory_does_not_grow_with_the_text():
+    import tracemalloc
+
+    c = transducer.codec(tokenizer_path())
+    peaks = []
+    for n in (20_000, 400_000):
+        text = "thnttion whthible " * (n // 18) + "abc" * (n // 3)
+        c.forget()
+        tracemalloc.start()
+        assert sum(map(len, c.stream(text))) > n // 10
+        peaks.append(tracemalloc.get_traced_memory()[1] - 3 * n)  # copies of the run without blanks: chunk, word, as text
+        tracemalloc.stop()
+    assert peaks[1] < peaks[0] + 1_000_000
+
+
+def test_piece_cache_is_bounded_in_bytes():
+    c = wordbpe.PieceCache(lambda k: (1,) * len(k), 10_000, 8)
+    for i in range(5000):
+        assert c[f"k{i % 700}"] == (1,) * len(f"k{i % 700}")
+    assert c.held <= 10_000 + 300
+    assert len(c) + len(c.old) < 100
+    assert len(c["x" * 100]) == 100
+    assert "x" * 100 not in c
+
+
 def test_lookahead_covers_every_short_merge_list():
     """Random merge lists over two letters: cutting the input never changes tokens that end a lookahead before the cut."""
     rng = np.random.default_rng(5)
@@ -155,6 +204,7 @@ def test_lookahead_covers_every_short_merge_list():
         m = transducer.MergeTransducer(merges, "")
         text = "".join(rng.choice(["a", "b"], 60))
         whole = m._merge(list(text))
+        assert m._merge_many(list(text)) == whole
         for cut in range(1, 60):
             ends, at = set(), 0
             for t in m._merge(list(text[:cut])):

@@ -168,8 +168,8 @@ def _library_ids(path: str):
             return array("I", [t.id for t in model.tokenize(bpe.symbols(found[0]))]).tobytes()
         return b"".join([words[w] for w in found])
 
-    words = PieceCache(lambda w: array("I", [t.id for t in model.tokenize(bpe.symbols(w))]).tobytes(), 100_000)
-    pieces = PieceCache(one)
+    words = PieceCache(lambda w: array("I", [t.id for t in model.tokenize(bpe.symbols(w))]).tobytes(), 3_000_000)
+    pieces = PieceCache(one, 24_000_000)
     added = {t: np.array([i], "<u4").tobytes() for t, i in bpe.added.items()}
 
     def encode(text: str) -> bytes:

@@ -5,7 +5,13 @@ of it only through a chain of merges: one that straddles the cut, then later-ran
 that each begin further left, hold the left half of the one before and read the same text
 where they meet.  The longest such chain gives the merge list's sufficient lookahead L: a token that ends L symbols
 before the end of what has been read is final.  So a window of fixed size gives the exact
-tokens of a word of any length: final tokens leave, the rest waits for more input.
+tokens of a word of any length: final tokens leave, the rest waits for more input.  The end of
+a word makes all its tokens final.
+
+A text passes through in blocks of ``BLOCK`` characters: ids of a block go to the digests and to the
+decoder, then they are forgotten, so beside the row itself nothing grows with a text but the normalised
+copy of its longest run without blanks.  Ids of short pieces are remembered within a task, up to a
+number of bytes.  The decoder is a machine of its own that sees ids only.
 
 ``encode_table`` treats null text as empty text, keeps every row, and carries no other
 column; an empty table gives an empty table.
@@ -16,27 +22,34 @@ from __future__ import annotations
 import codecs
 import functools
 import hashlib
+import heapq
+from array import array
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from tolerant_gd.llm.wordbpe import PieceCache, WordBpe, byte_alphabet
 
+#: Characters of a block of text; symbols that a streamed word hands on at once.
+BLOCK, SLICE = 16_384, 4_096
 _END = ""  # stands for the word-end suffix inside symbol strings
 
 
 class MergeTransducer:
     """Ranked merges applied to one word's symbols, with memory bounded by ``window`` + lookahead."""
 
-    def __init__(self, merges: list[tuple[str, str]], suffix: str = "", window: int = 512):
+    def __init__(self, merges: list[tuple[str, str]], suffix: str = "", window: int = 512, lookahead: int = 0):
         self.suffix, self.window = suffix, window
         self.rank = {pair: i for i, pair in enumerate(merges)}
         self.product = [left + right for left, right in merges]
-        self.lookahead = sufficient_lookahead([tuple(s.replace(suffix, _END) if suffix else s for s in pair) for pair in merges])
+        self.lookahead = lookahead or sufficient_lookahead(plain_merges(merges, suffix))
 
     def _merge(self, symbols: list[str]) -> list[str]:
-        """Apply merges in rank order, equal ranks from the left; changes and returns the list."""
+        """Apply merges in rank order, equal ranks from the left; may change the list."""
+        if len(symbols) > 96:
+            return self._merge_many(symbols)
         rank, product = self.rank, self.product
         never = len(product)
         ranks = [rank.get(pair, never) for pair in zip(symbols, symbols[1:])]
@@ -50,6 +63,25 @@ class MergeTransducer:
                 ranks[at] = rank.get((symbols[at], symbols[at + 1]), never)
         return symbols
 
+    def _merge_many(self, symbols: list[str]) -> list[str]:
+        """The same over linked positions and a heap of (rank, position, pair)."""
+        n, rank = len(symbols), self.rank
+        after, before = [*range(1, n), -1], [-1, *range(n - 1)]
+        heap = [(r, i, pair) for i, pair in enumerate(zip(symbols, symbols[1:])) if (r := rank.get(pair)) is not None]
+        heapq.heapify(heap)
+        while heap:
+            r, i, (left, right) = heapq.heappop(heap)
+            j = after[i]
+            if symbols[i] != left or j < 0 or symbols[j] != right:
+                continue  # one of the two has been merged since
+            symbols[i], symbols[j], after[i] = self.product[r], "", after[j]
+            if (k := after[i]) >= 0:
+                before[k] = i
+            for a, b in ((before[i], i), (i, k)):
+                if a >= 0 and b >= 0 and (found := rank.get((symbols[a], symbols[b]))) is not None:
+                    heapq.heappush(heap, (found, a, (symbols[a], symbols[b])))
+        return [s for s in symbols if s]
+
     def tokens(self, symbols: Iterable[str]) -> Iterator[str]:
         """Tokens of one word, each as soon as it is final."""
         held: list[str] = []
@@ -71,6 +103,11 @@ class MergeTransducer:
             yield from self._merge(held)
 
 
+def plain_merges(merges: list[tuple[str, str]], suffix: str) -> list[tuple[str, str]]:
+    """Merges with one character for the word end."""
+    return [tuple(s.replace(suffix, _END) if suffix else s for s in pair) for pair in merges]
+
+
 def sufficient_lookahead(merges: list[tuple[str, str]]) -> int:
     """An upper bound, in symbols, of how far left of a cut unseen input can change tokens.
 
@@ -105,8 +142,8 @@ class TextDecoder:
     character cut by a token border waits for its other bytes.
     """
 
-    def __init__(self, mode: str = "joined", suffix: str = ""):
-        self.mode, self.suffix, self.first = mode, suffix, True
+    def __init__(self, mode: str = "joined", suffix: str = "", token_of: dict[int, str] | None = None):
+        self.mode, self.suffix, self.first, self.token_of = mode, suffix, True, token_of
         if mode == "bytes":
             self.utf8 = codecs.getincrementaldecoder("utf-8")(errors="replace")
             self.byte_of = {c: i for i, c in enumerate(byte_alphabet())}
@@ -119,6 +156,17 @@ class TextDecoder:
         body = token.removesuffix(self.suffix) if ends else token
         return self.utf8.decode(bytes(self.byte_of[c] for c in body), ends) + " " * ends
 
+    def feed_ids(self, ids: Iterable[int]) -> str:
+        """What a run of ids adds to the text."""
+        tokens = map(self.token_of.__getitem__, ids)
+        if self.mode != "joined":
+            return "".join(map(self.feed, tokens))
+        text = " ".join(tokens)
+        if not text:
+            return ""
+        blank, self.first = "" if self.first else " ", False
+        return blank + text
+
     def close(self) -> str:
         return "" if self.mode == "joined" else self.utf8.decode(b"", True)
 
@@ -126,75 +174,112 @@ class TextDecoder:
 class Codec:
     """Whole-text encoding and decoding with one vocabulary file."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, lookahead: int = 0):
         self.bpe = WordBpe(path)
-        self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix)
-        # one cache entry a piece of text: its ids, written out, and what they decode to
-        self.words = PieceCache(self._word, 100_000)
-        self.pieces = PieceCache(self._piece)
+        self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix, lookahead=lookahead)
+        self.written = {i: str(i) for i in self.bpe.token_of}
+        self.words = PieceCache(self._word, 3_000_000, 8)  # word -> ids
+        self.pieces = PieceCache(self._piece, per_item=8)  # run without blanks -> ids
 
-    def _word(self, word: str) -> tuple[str, str]:
-        ids = [self.bpe.vocab[t] for t in self.machine.tokens(self.bpe.symbols(word))]
-        return " ".join(map(str, ids)), self._decoded(ids)
+    def _word(self, word: str) -> tuple[int, ...]:
+        return tuple(self._streamed(word))
 
-    def _decoded(self, ids: list[int]) -> str:
-        machine = TextDecoder("joined", self.bpe.suffix)
-        return "".join([machine.feed(self.bpe.token_of[i]) for i in ids]) + machine.close()
+    def _streamed(self, word: str) -> Iterator[int]:
+        """Ids of one word, as they become final; symbols go in a slice at a time."""
+        slices = (self.bpe.symbols(word[at : at + SLICE]) for at in range(0, len(word), SLICE))
+        return map(self.bpe.vocab.__getitem__, self.machine.tokens(chain.from_iterable(slices)))
 
-    def _piece(self, chunk: str) -> tuple[str, str]:
+    def _piece(self, chunk: str) -> tuple[int, ...]:
         if two := self.bpe.stem_and_mark(chunk):
-            (a, x), (b, y) = self.pieces[two[0]], self.pieces[two[1]]
-            return f"{a} {b}", f"{x} {y}"
+            return self.pieces[two[0]] + self.pieces[two[1]]
         words = self.bpe.words(chunk)
         if len(words) == 1:
             return self._word(words[0])
-        found = [self.words[w] for w in words]
-        return " ".join([a for a, _ in found]), " ".join([b for _, b in found])
+        return tuple(chain.from_iterable(map(self.words.__getitem__, words)))
+
+    def _long(self, chunk: str) -> Iterator[list[int]]:
+        """Ids of a run without blanks, whatever its length, some thousand at a time."""
+        held: list[int] = []
+        for word in self.bpe.each_word(chunk):
+            for i in self._streamed(word) if len(word) > self.words.longest else self.words[word]:
+                held.append(i)
+                if len(held) >= SLICE:
+                    yield held
+                    held = []
+        yield held
+
+    def stream(self, text: str) -> Iterator[list[int]]:
+        """Ids of a text in runs, in order; what has been handed out is not kept."""
+        longest = self.pieces.longest
+        for block in self.bpe.blocks(text, BLOCK):
+            for special, s in self.bpe.segments(block):
+                if special:
+                    yield [self.bpe.added[s]]
+                    continue
+                chunks = self.bpe.chunks(s)
+                at = 0
+                if max(map(len, chunks), default=0) > longest:
+                    for i, c in enumerate(chunks):
+                        if len(c) > longest:
+                            yield list(chain.from_iterable(map(self.pieces.__getitem__, chunks[at:i])))
+                            yield from self._long(c)
+                            at = i + 1
+                yield list(chain.from_iterable(map(self.pieces.__getitem__, chunks[at:] if at else chunks)))
 
     def encode(self, text: str) -> list[int]:
-        return [int(x) for x in self.digest_strings(text)[0].split()]
+        return list(chain.from_iterable(self.stream(text)))
+
+    def decoder(self, mode: str = "joined") -> TextDecoder:
+        return TextDecoder(mode, self.bpe.suffix, self.bpe.token_of)
 
     def decode(self, ids: Iterable[int], mode: str = "joined") -> str:
-        machine = TextDecoder(mode, self.bpe.suffix)
-        return "".join([machine.feed(self.bpe.token_of[i]) for i in ids]) + machine.close()
-
-    def digest_strings(self, text: str) -> tuple[str, str]:
-        """(ids in decimal, decoded text), both joined by single blanks."""
-        ids, decoded = [], []
-        for special, s in self.bpe.segments(text):
-            if special:
-                ids.append(str(self.bpe.added[s]))
-                decoded.append(s)
-            else:
-                found = list(map(self.pieces.__getitem__, self.bpe.chunks(s)))
-                if found:
-                    ids.append(" ".join([a for a, _ in found]))
-                    decoded.append(" ".join([b for _, b in found]))
-        return " ".join(ids), " ".join(decoded)
+        machine = self.decoder(mode)
+        return machine.feed_ids(ids) + machine.close()
+
+    def forget(self) -> None:
+        self.words.forget()
+        self.pieces.forget()
 
 
 @functools.cache
-def codec(path: str) -> Codec:
-    return Codec(path)
+def codec(path: str, lookahead: int = 0) -> Codec:
+    return Codec(path, lookahead)
 
 
 def encode_table(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> DataFrame:
     """Per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, as asked, ids and the decoded text."""
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<long>, decoded string" * with_ids
     names = [f.split()[0] for f in schema.split(", ")]
+    bpe = WordBpe(tokenizer)
+    lookahead = sufficient_lookahead(plain_merges(bpe.merges, bpe.suffix))  # once, on the driver
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        machine = codec(tokenizer)
+        machine = codec(tokenizer, lookahead)
+        written = machine.written.__getitem__
         for batch in batches:
             rows: list[list] = [[] for _ in names[1:]]
             for text in batch.column(1):
-                ids, decoded = machine.digest_strings(text.as_py() or "")
-                values = [ids.count(" ") + 1 if ids else 0, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(decoded.encode("utf-8", "surrogatepass")).hexdigest()]
+                n, back, coded, plain = 0, machine.decoder(), hashlib.sha256(), hashlib.sha256()
+                kept, texts = array("q"), []
+                for ids in machine.stream(text.as_py() or ""):
+                    if not ids:
+                        continue
+                    decoded = back.feed_ids(ids)
+                    coded.update(((" " if n else "") + " ".join(map(written, ids))).encode())
+                    plain.update(decoded.encode("utf-8", "surrogatepass"))
+                    n += len(ids)
+                    if with_ids:
+                        kept.extend(ids)
+                        texts.append(decoded)
+                plain.update(back.close().encode())
+                values = [n, coded.hexdigest(), plain.hexdigest()]
                 if with_ids:
-                    values += [[int(x) for x in ids.split()], decoded]
+                    values += [kept.tolist(), "".join(texts)]
                 for column, v in zip(rows, values, strict=True):
                     column.append(v)
             kinds = [pa.int64(), pa.string(), pa.string(), pa.list_(pa.int64()), pa.string()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(rows, kinds, strict=False))], names)
+        machine.forget()
+        pa.default_memory_pool().release_unused()
 
     return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, schema)

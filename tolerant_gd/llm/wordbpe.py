@@ -13,6 +13,7 @@ import json
 import re
 import sys
 import unicodedata
+from collections.abc import Iterator
 
 SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 CONTRACTIONS = ("'s", "'t", "'re", "'ve", "'m", "'ll", "'d")
@@ -118,6 +119,14 @@ class WordBpe:
             return [bytes(back[c] for c in w).decode("utf-8", "surrogatepass") for w, _ in found]
         return word_pattern().findall(chunk)
 
+    def each_word(self, chunk: str) -> Iterator[str]:
+        """``words``, one at a time; for chunks of any length."""
+        if len(chunk) <= 64 or not chunk.isascii() and any(unicodedata.category(c) == "Cn" for c in chunk):
+            yield from self.words(chunk)
+        else:
+            for m in word_pattern().finditer(chunk):
+                yield m.group()
+
     @staticmethod
     def stem_and_mark(chunk: str) -> tuple[str, str] | None:
         """A chunk of ASCII letters and one closing mark, as its two words; None for other chunks."""
@@ -125,6 +134,19 @@ class WordBpe:
             return chunk[:-1], chunk[-1]
         return None
 
+    def blocks(self, text: str, size: int) -> Iterator[str]:
+        """The text in runs of about ``size`` characters, cut before blanks of ASCII, which nothing composes with."""
+        at = 0
+        while len(text) - at > size:
+            end = text.rfind(" ", at + 1, at + size)
+            if end < 0:
+                end = text.find(" ", at + size)
+            if end < 0:
+                break
+            yield text[at:end]
+            at = end
+        yield text[at:] if at else text
+
     @staticmethod
     def symbols(word: str) -> str:
         """The word in the byte alphabet, one character per UTF-8 byte."""
@@ -135,21 +157,30 @@ class WordBpe:
 
 
 class PieceCache(dict):
-    """chunk -> encoded value, filled on demand; holds at most two generations of ``limit`` entries.
+    """chunk -> encoded value, filled on demand; two generations of at most ``limit`` bytes each, by estimate.
 
     When the young generation is full it becomes the old one; what is still in use moves back from there.
+    Keys of over ``longest`` characters are made anew each time.  ``per_item`` is the size of one item of a value.
     """
 
-    def __init__(self, make, limit: int = 600_000):
+    ENTRY = 200  # table slots, the key's and the value's own heads
+
+    def __init__(self, make, limit: int = 12_000_000, per_item: int = 1, longest: int = 64):
         super().__init__()
-        self.make, self.limit, self.old = make, limit, {}
+        self.make, self.limit, self.per_item, self.longest, self.old, self.held = make, limit, per_item, longest, {}, 0
 
     def __missing__(self, key: str):
         value = self.old.get(key)
         if value is None:
             value = self.make(key)
-        if len(self) >= self.limit:
-            self.old = dict(self)
-            self.clear()
-        self[key] = value
+        if len(key) <= self.longest:
+            if self.held > self.limit:
+                self.old, self.held = dict(self), 0
+                self.clear()
+            self[key] = value
+            self.held += self.ENTRY + len(key) + self.per_item * len(value)
         return value
+
+    def forget(self) -> None:
+        self.old, self.held = {}, 0
+        self.clear()
