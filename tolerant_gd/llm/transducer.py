@@ -25,7 +25,7 @@ import hashlib
 import heapq
 from array import array
 from collections.abc import Iterable, Iterator
-from itertools import chain
+from itertools import chain, repeat
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -50,17 +50,19 @@ class MergeTransducer:
         """Apply merges in rank order, equal ranks from the left; may change the list."""
         if len(symbols) > 96:
             return self._merge_many(symbols)
-        rank, product = self.rank, self.product
+        rank, product = self.rank.get, self.product
         never = len(product)
-        ranks = [rank.get(pair, never) for pair in zip(symbols, symbols[1:])]
-        while ranks and (best := min(ranks)) < never:
+        ranks = list(map(rank, zip(symbols, symbols[1:]), repeat(never)))
+        left = len(ranks)
+        while left and (best := min(ranks)) < never:
             at = ranks.index(best)
-            symbols[at] = product[best]
+            symbols[at] = whole = product[best]
             del symbols[at + 1], ranks[at]
+            left -= 1
             if at:
-                ranks[at - 1] = rank.get((symbols[at - 1], symbols[at]), never)
-            if at < len(ranks):
-                ranks[at] = rank.get((symbols[at], symbols[at + 1]), never)
+                ranks[at - 1] = rank((symbols[at - 1], whole), never)
+            if at < left:
+                ranks[at] = rank((whole, symbols[at + 1]), never)
         return symbols
 
     def _merge_many(self, symbols: list[str]) -> list[str]:
@@ -82,6 +84,13 @@ class MergeTransducer:
                     heapq.heappush(heap, (found, a, (symbols[a], symbols[b])))
         return [s for s in symbols if s]
 
+    def word(self, symbols: str) -> list[str]:
+        """Tokens of a whole word that fits the window: its end makes all of them final at once."""
+        held = list(symbols)
+        if held:
+            held[-1] += self.suffix
+        return self._merge(held)
+
     def tokens(self, symbols: Iterable[str]) -> Iterator[str]:
         """Tokens of one word, each as soon as it is final."""
         held: list[str] = []
@@ -177,17 +186,21 @@ class Codec:
     def __init__(self, path: str, lookahead: int = 0):
         self.bpe = WordBpe(path)
         self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix, lookahead=lookahead)
+        self.vocab = self.bpe.vocab.__getitem__
         self.written = {i: str(i) for i in self.bpe.token_of}
         self.words = PieceCache(self._word, 3_000_000, 8)  # word -> ids
         self.pieces = PieceCache(self._piece, per_item=8)  # run without blanks -> ids
 
     def _word(self, word: str) -> tuple[int, ...]:
+        symbols = self.bpe.symbols(word)
+        if len(symbols) <= self.machine.window:
+            return tuple(map(self.vocab, self.machine.word(symbols)))
         return tuple(self._streamed(word))
 
     def _streamed(self, word: str) -> Iterator[int]:
         """Ids of one word, as they become final; symbols go in a slice at a time."""
         slices = (self.bpe.symbols(word[at : at + SLICE]) for at in range(0, len(word), SLICE))
-        return map(self.bpe.vocab.__getitem__, self.machine.tokens(chain.from_iterable(slices)))
+        return map(self.vocab, self.machine.tokens(chain.from_iterable(slices)))
 
     def _piece(self, chunk: str) -> tuple[int, ...]:
         if two := self.bpe.stem_and_mark(chunk):

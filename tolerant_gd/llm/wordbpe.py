@@ -173,12 +173,13 @@ class PieceCache(dict):
         value = self.old.get(key)
         if value is None:
             value = self.make(key)
-        if len(key) <= self.longest:
+        size = len(key)
+        if size <= self.longest:
             if self.held > self.limit:
                 self.old, self.held = dict(self), 0
                 self.clear()
             self[key] = value
-            self.held += self.ENTRY + len(key) + self.per_item * len(value)
+            self.held += self.ENTRY + size + self.per_item * len(value)
         return value
 
     def forget(self) -> None:
