@@ -169,7 +169,7 @@ def _library_ids(path: str):
         return b"".join([words[w] for w in found])
 
     words = PieceCache(lambda w: array("I", [t.id for t in model.tokenize(bpe.symbols(w))]).tobytes(), 3_000_000)
-    pieces = PieceCache(one, 64_000_000)
+    pieces = PieceCache(one, 128_000_000)
     added = {t: np.array([i], "<u4").tobytes() for t, i in bpe.added.items()}
 
     def encode(text: str) -> bytes:

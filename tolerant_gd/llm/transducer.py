@@ -10,8 +10,8 @@ a word makes all its tokens final.
 
 A text passes through in blocks of ``BLOCK`` characters: ids of a block go to the digests and to the
 decoder, then they are forgotten, so beside the row itself nothing grows with a text but the normalised
-copy of its longest run without blanks.  Ids of short pieces are remembered within a task, up to a
-number of bytes.  The decoder is a machine of its own that sees ids only.
+copy of its longest run without blanks.  Ids of short pieces are remembered, up to a
+number of bytes a worker.  The decoder is a machine of its own that sees ids only.
 
 ``encode_table`` treats null text as empty text, keeps every row, and carries no other
 column; an empty table gives an empty table.
@@ -34,6 +34,8 @@ from tolerant_gd.llm.wordbpe import PieceCache, WordBpe, byte_alphabet
 
 #: Characters of a block of text; symbols that a streamed word hands on at once.
 BLOCK, SLICE = 16_384, 4_096
+#: Bytes of remembered pieces in each of the two generations that a Python worker holds.
+CACHE = 32_000_000
 _END = ""  # stands for the word-end suffix inside symbol strings
 
 
@@ -188,8 +190,8 @@ class Codec:
         self.machine = MergeTransducer(self.bpe.merges, self.bpe.suffix, lookahead=lookahead)
         self.vocab = self.bpe.vocab.__getitem__
         self.written = {i: str(i) for i in self.bpe.token_of}
-        self.words = PieceCache(self._word, 3_000_000, 8)  # word -> ids
-        self.pieces = PieceCache(self._piece, per_item=8)  # run without blanks -> ids
+        self.words = PieceCache(self._word, CACHE // 8, 8)  # word -> ids
+        self.pieces = PieceCache(self._piece, CACHE, 8)  # run without blanks -> ids
 
     def _word(self, word: str) -> tuple[int, ...]:
         symbols = self.bpe.symbols(word)
@@ -292,7 +294,6 @@ def encode_table(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> Dat
                     column.append(v)
             kinds = [pa.int64(), pa.string(), pa.string(), pa.list_(pa.int64()), pa.string()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(rows, kinds, strict=False))], names)
-        machine.forget()
         pa.default_memory_pool().release_unused()
 
     return docs.selectExpr("cast(doc_id as long) doc_id", "text").mapInArrow(run, schema)
