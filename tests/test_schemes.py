@@ -218,3 +218,20 @@ def test_facade(spark):
         api.lagrange_encode(grads, api.scheme("lagrange_single", 6, 3), ["v"])
     with pytest.raises(ValueError):
         api.latency(spark, "none", 1, 1)
+
+
+def test_worker_threshold_is_the_worst_case_of_all_sets():
+    cases = [scheme("wait_all", 5), scheme("first_workers", 6, need=4), scheme("relaunch", 5), scheme("backup_workers", 4, extra=3), scheme("backup_workers", 3, extra=4)]
+    for K, r in ((6, 1), (6, 2), (6, 3), (8, 4), (7, 3), (9, 3)):
+        for P in (1, 2, 3):
+            if K % P or r > K // P:
+                continue
+            cases += [scheme("gradcode_single", K, r, P=P), scheme("gradcode_layered", K, r, P=P, orders=(r, max(1, r - 1)))]
+            cases += [scheme("gradcode_shared", K, r, P=P, order=m) for m in range(1, r + 1)]
+        cases += [scheme(n, K, r) for n in ("uncoded_multi", "uncoded_single")] + [scheme("uncoded_partial", K, r, tolerance=0.3)]
+        if K % r == 0:
+            cases.append(scheme("gradcode_repeat", K, r))
+    cases += [scheme("gradcode_hybrid", 6, 3, P=2, orders=(3, 2)), scheme("lagrange_single", 6, 3), scheme("lagrange_multi", 6, 3), scheme("lagrange_multi", 8, 4, polys=2), scheme("lagrange_multi", 9, 3)]
+    for s in cases:
+        least = next(n for n in range(1, s.workers + 1) if all(recoverable(s, c) for c in combinations(range(s.workers), n)))
+        assert worker_threshold(s) == least, s

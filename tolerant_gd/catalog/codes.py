@@ -124,53 +124,45 @@ XS = ["x0", "x1", "x2", "x3", "x4"]
 ALIGNED = ["l_orderkey", "x4", "y", "x1", "x2", "x3"]
 
 
-def _rows(s, d, K: int, most: int | None):
-    """Aligned blocks of all of lineitem, or of its orders up to ``most``."""
-    rows = exact_sample(s, d, K)
-    return regress.pad_blocks(rows if most is None else rows.where(F.col("l_orderkey") <= most), ALIGNED)
+def _rows(s, d, K: int):
+    """Aligned blocks of lineitem."""
+    return regress.align_blocks(exact_sample(s, d, K), ALIGNED)
 
 
-def _lagrange(s, d, K: int, r: int, polys: int, received=None, most: int | None = None):
+def _lagrange(s, d, K: int, r: int, polys: int, received=None):
     code = lagrange.Code(K, r, polys)
-    aligned = _rows(s, d, K, most)
-    coded = lagrange.encode(aligned, code, XS)
+    coded = lagrange.encode(_rows(s, d, K), code, XS)
     total = K * code.draws
     received = received or sorted(range(total), key=lambda i: (i * 7919) % total)[: code.threshold]
     return lagrange.decode(lagrange.work(coded, list(THETA), XS), code, received)
 
 
-_PART = f"({SAMPLE.format(K=6)} WHERE l_orderkey <= 4000)"
-_XWX = long_sum(Z, "", _PART[1:-1])
-#: (K, r, polys).  The short names hold the first 4,000 orders, as their SQL says; those in _whole all of lineitem.
+#: (K, r, polys)
 _CODES = {"single": (6, 3, 3), "multi": (6, 3, 1), "two_polys": (6, 4, 2), "padded": (7, 3, 3)}
 for _name, _c in _CODES.items():
-    QUERIES[f"lagrange_decode_{_name}"] = lambda s, d, c=_c: _lagrange(s, d, *c, most=4000)
-    ORACLES[f"lagrange_decode_{_name}"] = _XWX
-    QUERIES[f"lagrange_decode_{_name}_whole"] = lambda s, d, c=_c: _lagrange(s, d, *c)
-    ORACLES[f"lagrange_decode_{_name}_whole"] = long_sum(Z, "")
+    QUERIES[f"lagrange_decode_{_name}"] = lambda s, d, c=_c: _lagrange(s, d, *c)
+    ORACLES[f"lagrange_decode_{_name}"] = long_sum(Z, "")
 
 
-def _encode_rows(s, d, most: int | None = None):
+def _encode_rows(s, d):
     """Checksums of coded rows: field sums of the first three features of every message."""
-    coded = lagrange.encode(_rows(s, d, 6, most), lagrange.Code(6, 2, 2), XS)
-    return coded.groupBy("message", "grp").agg(*[F.sum(x).cast("decimal(38,0)").cast("string").alias(x) for x in XS[:3]])
+    coded = lagrange.encode(_rows(s, d, 6), lagrange.Code(6, 2, 2), XS)
+    return coded.groupBy("message", "grp").agg(*[F.sum(F.col(x).cast("decimal(38,0)")).cast("decimal(38,0)").cast("string").alias(x) for x in XS[:3]])
 
 
-def _encode_rows_sql(where: str = "") -> str:
+def _encode_rows_sql() -> str:
     p = lagrange.PRIME
     code = lagrange.Code(6, 2, 2)
     values = ", ".join(f"({w * code.draws + u}, {b}, {c}::HUGEINT)" for w, u, cs in code.encode_coefs() for b, c in enumerate(cs))
     cols = ", ".join(f"CAST(sum({x}) AS VARCHAR) AS {x}" for x in XS[:3])
     inner = ", ".join(f"sum({x}::HUGEINT * c % {p}) % {p} AS {x}" for x in XS[:3])
-    return f"""WITH s AS (SELECT *, row_number() OVER (PARTITION BY batch ORDER BY l_orderkey, x4, y, x1, x2, x3) - 1 AS pos FROM ({SAMPLE.format(K=6)}{where})),
+    return f"""WITH s AS (SELECT *, row_number() OVER (PARTITION BY batch ORDER BY l_orderkey, x4, y, x1, x2, x3) - 1 AS pos FROM ({SAMPLE.format(K=6)})),
 c(message, b, c) AS (VALUES {values}), e AS (SELECT message, batch // 3 AS grp, pos, {inner} FROM s JOIN c ON batch % 3 = b GROUP BY ALL)
 SELECT CAST(message AS INT) AS message, CAST(grp AS INT) AS grp, {cols} FROM e GROUP BY message, grp"""
 
 
-QUERIES["lagrange_encode_rows"] = lambda s, d: _encode_rows(s, d, 400)
-ORACLES["lagrange_encode_rows"] = _encode_rows_sql(" WHERE l_orderkey <= 400")
-QUERIES["lagrange_encode_rows_whole"] = _encode_rows
-ORACLES["lagrange_encode_rows_whole"] = _encode_rows_sql()
+QUERIES["lagrange_encode_rows"] = _encode_rows
+ORACLES["lagrange_encode_rows"] = _encode_rows_sql()
 
 
 def _mds(s, d):
@@ -208,7 +200,7 @@ def _residuals(s, d):
     rows, grams = [], {}
     for K, r, v in ((6, 3, 3), (6, 4, 2), (8, 4, 4), (12, 4, 4)):
         if K not in grams:
-            grams[K] = lagrange.cross_grams(_rows(s, d, K, None), XS, K)
+            grams[K] = lagrange.cross_grams(_rows(s, d, K), XS, K)
         code = lagrange.Code(K, r, v, exact=False)
         rows.append((K, r, v, lagrange.gram_residual(grams[K], THETA, code, list(range(code.threshold))) < 1e-3))
     return s.createDataFrame(rows, "K int, r int, polys int, fine boolean")

@@ -145,10 +145,10 @@ _SHORT = scheme("uncoded_multi", 20, 2)
 _QUEUE = """WITH RECURSIVE {units}, {msgs}, a AS ({plain}), q AS (SELECT trial, worker, step, at_, row_number() OVER (PARTITION BY trial{by} ORDER BY at_, worker, step, code) AS n{by} FROM a),
 o AS (SELECT trial, worker, step, n, at_ + 300 AS out{by2} FROM q WHERE n = 1 UNION ALL SELECT q.trial, q.worker, q.step, q.n, greatest(q.at_, o.out) + 300{by2q} FROM o JOIN q ON q.trial = o.trial AND q.n = o.n + 1{join})
 SELECT trial, worker, step, CAST(out AS BIGINT) AS "at" FROM o"""
-QUERIES["congested_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT).where("trial < 10"), 300).select("trial", "worker", "step", F.col("at").cast("bigint").alias("at"))
-ORACLES["congested_arrivals"] = _QUEUE.format(units=units_sql(10), msgs=messages_sql([_SHORT]), plain=PLAIN, by="", by2="", by2q="", join="")
-QUERIES["hierarchy_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT).where("trial < 10"), 300, groups=4).groupBy("trial").agg(F.max("at").cast("bigint").alias("last"), F.min("at").cast("bigint").alias("first"))
-ORACLES["hierarchy_arrivals"] = f"""WITH {units_sql(10)}, {messages_sql([_SHORT])}, a AS ({PLAIN}),
+QUERIES["congested_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT), 300).select("trial", "worker", "step", F.col("at").cast("bigint").alias("at"))
+ORACLES["congested_arrivals"] = _QUEUE.format(units=units_sql(), msgs=messages_sql([_SHORT]), plain=PLAIN, by="", by2="", by2q="", join="")
+QUERIES["hierarchy_arrivals"] = lambda s, d: recover.congested(_arr(s, d, _SHORT), 300, groups=4).groupBy("trial").agg(F.max("at").cast("bigint").alias("last"), F.min("at").cast("bigint").alias("first"))
+ORACLES["hierarchy_arrivals"] = f"""WITH {units_sql()}, {messages_sql([_SHORT])}, a AS ({PLAIN}),
 q AS (SELECT *, 300 * row_number() OVER w AS s, max(at_ - 300 * (rn - 1)) OVER (PARTITION BY trial, worker % 4 ORDER BY rn) AS b FROM (SELECT *, row_number() OVER (PARTITION BY trial, worker % 4 ORDER BY at_, worker, step, code) AS rn FROM a) WINDOW w AS (PARTITION BY trial, worker % 4 ORDER BY at_, worker, step, code)),
 h AS (SELECT trial, worker, step, code, s + b AS at_ FROM q), r AS (SELECT *, row_number() OVER (PARTITION BY trial ORDER BY at_, worker, step, code) AS rn FROM h),
 e AS (SELECT trial, 300 * rn + max(at_ - 300 * (rn - 1)) OVER (PARTITION BY trial ORDER BY rn) AS at_ FROM r)

@@ -103,8 +103,9 @@ _LOGIT = "(0.5 + 0.1 * ln(1 + n_chars) - 0.2 * (lang = 'de')::INT + 0.3 * (lang
 _LTHETA = (0.5, 0.1, -0.2, 0.3, -0.1)
 QUERIES["loss_logistic_quality"] = lambda s, d: regress.loss(quality_sample(s, d), _LTHETA, "logistic").select(F.round("loss", 6).alias("loss"))
 ORACLES["loss_logistic_quality"] = f"SELECT round(avg(ln(1 + exp(-(2 * quality - 1) * {_LOGIT}))), 6) AS loss FROM documents JOIN labels USING (doc_id)"
-QUERIES["gradient_logistic_quality"] = lambda s, d: regress.partial_gradients(quality_sample(s, d), _LTHETA, "logistic").where("dim < 2").select("batch", "dim", F.round("v", 6).alias("v"))
-ORACLES["gradient_logistic_quality"] = f"WITH r AS (SELECT CAST(doc_id % 10 AS INT) AS batch, ln(1 + n_chars) AS x1, 1 / (1 + exp(-{_LOGIT})) - quality AS p FROM documents JOIN labels USING (doc_id)) SELECT batch, 0 AS dim, round(sum(p), 6) AS v FROM r GROUP BY batch UNION ALL SELECT batch, 1, round(sum(x1 * p), 6) FROM r GROUP BY batch"
+QUERIES["gradient_logistic_quality"] = lambda s, d: regress.partial_gradients(quality_sample(s, d), _LTHETA, "logistic").select("batch", "dim", F.round("v", 6).alias("v"))
+ORACLES["gradient_logistic_quality"] = f"""WITH r AS (SELECT CAST(doc_id % 10 AS INT) AS batch, 1 / (1 + exp(-{_LOGIT})) - quality AS p, [1.0, ln(1 + n_chars), (lang = 'de')::INT, (lang = 'es')::INT, (lang = 'fr')::INT]::DOUBLE[] AS x FROM documents JOIN labels USING (doc_id))
+SELECT batch, CAST(i AS INT) AS dim, round(sum(p * x[i + 1]), 6) + 0.0 AS v FROM r, generate_series(0, 4) g(i) GROUP BY batch, i"""
 
 
 def _invariance(s, d):

@@ -88,9 +88,19 @@ ORACLES["thresholds"] = "SELECT * FROM (VALUES ('cyclic', 4, 6), ('shared', 5, 1
 
 
 def _worker_thresholds(s):
-    rows = [(c.label, c.K, c.r, c.P, worker_threshold(c)) for c in (scheme("gradcode_single", 6, 3), scheme("gradcode_repeat", 40, 10), scheme("gradcode_shared", 6, 3, order=2), scheme("lagrange_single", 6, 3), scheme("lagrange_multi", 6, 3), scheme("uncoded_multi", 6, 3))]
-    return s.createDataFrame(rows, "scheme string, K int, r int, P int, workers int")
+    cases = []
+    for K, r, P in ((6, 3, 2), (20, 4, 4), (40, 10, 4)):
+        cases += [scheme("gradcode_single", K, r), scheme("gradcode_single", K, r, P=P), scheme("gradcode_shared", K, r, order=2), scheme("gradcode_shared", K, r, P=P, order=r - 1), scheme("lagrange_single", K, r), scheme("lagrange_multi", K, r)]
+        cases += [scheme("uncoded_multi", K, r), scheme("uncoded_partial", K, r, tolerance=0.1), scheme("uncoded_single", K, r), scheme("wait_all", K), scheme("first_workers", K, need=K - 5), scheme("backup_workers", K, extra=2)]
+    cases += [scheme("gradcode_repeat", 6, 3), scheme("gradcode_repeat", 20, 4), scheme("gradcode_repeat", 40, 10)]
+    return s.createDataFrame([(c.label, c.K, c.r, c.P, worker_threshold(c)) for c in cases], "scheme string, K int, r int, P int, workers int")
 
 
 QUERIES["worker_thresholds"] = lambda s, d: _worker_thresholds(s)
-ORACLES["worker_thresholds"] = "SELECT * FROM (VALUES ('gradcode_single', 6, 3, 1, 4), ('gradcode_repeat', 40, 10, 4, 31), ('gradcode_shared', 6, 3, 1, 4), ('lagrange_single', 6, 3, 1, 3), ('lagrange_multi', 6, 3, 1, 4), ('uncoded_multi', 6, 3, 1, 4)) t(scheme, K, r, P, workers)"
+#: Whatever r - 1 workers of the cyclic layouts are missing, each batch is still held; message counts give the others.
+ORACLES["worker_thresholds"] = """WITH c(K, r, P) AS (VALUES (6, 3, 2), (20, 4, 4), (40, 10, 4)),
+w AS (SELECT *, unnest([{'scheme': 'gradcode_single', 'r': r, 'P': 1, 'n': K - r + 1}, {'scheme': 'gradcode_single', 'r': r, 'P': P, 'n': K - r + 1}, {'scheme': 'gradcode_shared', 'r': r, 'P': 1, 'n': K - r + 1},
+  {'scheme': 'gradcode_shared', 'r': r, 'P': P, 'n': K - r + 1}, {'scheme': 'lagrange_single', 'r': r, 'P': 1, 'n': 2 * ((K + r - 1) // r) - 1}, {'scheme': 'lagrange_multi', 'r': r, 'P': 1, 'n': (2 * K - 1 + r - 1) // r},
+  {'scheme': 'uncoded_multi', 'r': r, 'P': 1, 'n': K - r + 1}, {'scheme': 'uncoded_partial', 'r': r, 'P': 1, 'n': K - K // 10 - r + 1}, {'scheme': 'uncoded_single', 'r': r, 'P': 1, 'n': K - r + 1}, {'scheme': 'wait_all', 'r': 1, 'P': 1, 'n': K},
+  {'scheme': 'first_workers', 'r': 1, 'P': 1, 'n': K - 5}, {'scheme': 'backup_workers', 'r': 1, 'P': 1, 'n': K + 2}, {'scheme': 'gradcode_repeat', 'r': r, 'P': K // r, 'n': K - r + 1}], recursive := true) FROM c)
+SELECT scheme, K, r_1 AS r, P_1 AS P, CAST(n AS INT) AS workers FROM w"""

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Window
@@ -10,7 +9,7 @@ from pyspark.sql import functions as F
 
 from tolerant_gd.functions import udx
 from tolerant_gd.operators import layout, relops
-from tolerant_gd.sources.tables import SCHEMAS, read, read_files, write_files
+from tolerant_gd.sources.tables import SCHEMAS, read, read_files, shared_folder, write_files
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -173,13 +172,8 @@ def _ranked(orders):
     return orders.select("o_custkey", "o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(p).alias("rk"), F.dense_rank().over(p).alias("dr"), F.ntile(3).over(w).alias("third"), F.lag("o_orderkey").over(w).alias("before"), F.sum(F.round(F.col("o_totalprice") * 100).cast("bigint")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"))
 
 
-@add("op_window_ranks", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WHERE o_custkey < 300 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
+@add("op_window_ranks", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
 def _ranks(s, d):
-    return _ranked(read(s, d, "orders").where("o_custkey < 300"))
-
-
-@add("op_window_ranks_whole", "SELECT o_custkey, o_orderkey, row_number() OVER w AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS dr, CAST(ntile(3) OVER w AS INT) AS third, lag(o_orderkey) OVER w AS before, CAST(sum(round(o_totalprice * 100)) OVER (w ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
-def _ranks_whole(s, d):
     return _ranked(read(s, d, "orders"))
 
 
@@ -301,8 +295,7 @@ def _udtf_completion(s, d):
 
 
 def _folder(s) -> str:
-    base = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="sinks-")
-    return f"{base.rstrip('/')}/sink-{uuid.uuid4().hex[:8]}"
+    return f"{shared_folder(s)}/sink-{uuid.uuid4().hex[:8]}"
 
 
 def _round_trip(kind: str):

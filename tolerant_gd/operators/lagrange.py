@@ -6,18 +6,23 @@ X~'(X~ theta), summed over the groups, is a polynomial of twice the degree; from
 its values its sum over the alphas is X'X theta.
 
 Encoding keeps the K rows of one position together in one array, so only the source rows
-are shuffled, and combines them in place; field elements are decimals, every product is
-reduced before it is summed.
+are shuffled, and combines them in place.  Field elements are 64-bit integers multiplied by
+limbs in vectors; coded rows go from encoder to worker without a shuffle.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from decimal import Decimal
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-PRIME = (1 << 61) - 1
+from tolerant_gd.functions import field
+from tolerant_gd.functions.field import PRIME
+
 FIELD = "decimal(38,0)"
 
 
@@ -80,42 +85,56 @@ def _mod(c: Column) -> Column:
     return F.pmod(c, F.lit(PRIME).cast(FIELD))
 
 
-def _weighted(values: Column, weights: list[int]) -> Column:
-    """Field inner product of an array column with constants."""
-    w = F.array(*[F.lit(Decimal(x)).cast(FIELD) for x in weights])
-    return F.aggregate(F.zip_with(values, w, lambda a, b: _mod((a * b).cast(FIELD)).cast(FIELD)), F.lit(0).cast(FIELD), lambda a, b: _mod(a + b).cast(FIELD))
-
+def encode(aligned: DataFrame, code: Code, xs: list[str], at_once: int = 2048) -> DataFrame:
+    """message, grp, pos, x0..: coded rows (field elements) from aligned block rows (batch, pos, x0..).
 
-def encode(aligned: DataFrame, code: Code, xs: list[str]) -> DataFrame:
-    """message, grp, pos, x0..: coded rows from aligned block rows (batch, pos, x0..)."""
-    spark = aligned.sparkSession
-    group, slot = F.expr(f"batch div {code.blocks}"), F.col("batch") % code.blocks
-    cells = aligned.select(group.cast("int").alias("grp"), "pos", F.struct(slot.alias("s"), *[_mod(F.col(x).cast(FIELD)).cast(FIELD).alias(x) for x in xs]).alias("c"))
+    A position that a block lacks counts as a zero row, so padding rows may be left out.
+    """
+    group, slot = F.expr(f"batch div {code.blocks}"), (F.col("batch") % code.blocks).cast("int")
+    cells = aligned.select(group.cast("int").alias("grp"), F.col("pos").cast("bigint").alias("pos"), F.struct(slot.alias("s"), *[F.col(x).cast("bigint").alias(x) for x in xs]).alias("c"))
     together = cells.groupBy("grp", "pos").agg(F.collect_list("c").alias("cs"))  # at most K / polys rows a position
-    full = together.select("grp", "pos", *[_slots("cs", x, code.blocks).alias(x) for x in xs])
-    coefs = spark.createDataFrame([(w * code.draws + u, [Decimal(int(c)) for c in cs]) for w, u, cs in code.encode_coefs()], "message int, w array<decimal(38,0)>")
-    joined = full.join(F.broadcast(coefs))
+    weights = [(w * code.draws + u, [int(c) for c in cs]) for w, u, cs in code.encode_coefs()]
 
-    def combine(x: str) -> Column:
-        return F.aggregate(F.zip_with(F.col(x), F.col("w"), lambda a, b: _mod((a * b).cast(FIELD)).cast(FIELD)), F.lit(0).cast(FIELD), lambda a, b: _mod(a + b).cast(FIELD))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, at_once):
+                grp, pos, cells = batch.slice(at, at_once).columns
+                n, flat = len(grp), cells.flatten()
+                row, block = np.repeat(np.arange(n), np.diff(cells.offsets.to_numpy())), flat.field("s").to_numpy()
+                held = np.zeros((code.blocks, n, len(xs)), np.uint64)
+                for i, x in enumerate(xs):
+                    held[block, row, i] = field.elements(flat.field(x).to_numpy(zero_copy_only=False))
+                for message, cs in weights:
+                    coded = field.total(field.times(held, np.array(cs, np.uint64)[:, None, None])).view(np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(n, message, np.int32)), grp, pos, *[pa.array(coded[:, i]) for i in range(len(xs))]], ["message", "grp", "pos", *xs])
 
-    return joined.select("message", "grp", "pos", *[combine(x).alias(x) for x in xs])
+    return together.mapInArrow(run, "message int, grp int, pos bigint, " + ", ".join(f"{x} bigint" for x in xs))
 
 
-def _slots(cells: str, x: str, n: int) -> Column:
-    """Values of ``x`` by slot, zero where the group has no block."""
-    return F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda s: F.coalesce(F.get(F.transform(F.filter(cells, lambda c: c["s"] == s), lambda c: c[x]), F.lit(0)), F.lit(0).cast(FIELD)))
+def work(coded: DataFrame, theta: list[int], xs: list[str]) -> DataFrame:
+    """message, dim, v: X~'(X~ theta) of every message, summed over its groups.
 
+    Each task sums its own rows; what is shuffled is messages times features.
+    """
+    z = [np.uint64(int(t) % PRIME) for t in theta]
 
-def work(coded: DataFrame, theta: list[int], xs: list[str]) -> DataFrame:
-    """message, dim, v: X~'(X~ theta) of every message, summed over its groups."""
-    t = [int(x) % PRIME for x in theta]
-    inner = _weighted(F.array(*[F.col(x) for x in xs]), t)
-    rows = coded.select("message", *xs, inner.alias("_in"))
-    sums = [F.sum(_mod((F.col(x) * F.col("_in")).cast(FIELD)).cast(FIELD)).alias(f"g{i}") for i, x in enumerate(xs)]
-    wide = rows.groupBy("message").agg(*sums)
-    cells = F.explode(F.array(*[F.struct(F.lit(i).alias("dim"), _mod(F.col(f"g{i}").cast(FIELD)).cast(FIELD).alias("v")) for i in range(len(xs))]))
-    return wide.select("message", cells.alias("c")).select("message", "c.*")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            sent = batch.column(0).to_numpy()
+            x = np.stack([c.to_numpy().view(np.uint64) for c in batch.columns[1:]])
+            inner = field.total(np.stack([field.times(v, np.broadcast_to(t, v.shape)) for v, t in zip(x, z, strict=True)]))
+            each = field.times(x, np.broadcast_to(inner, x.shape))
+            for message in np.unique(sent).tolist():
+                mine = field.total(each[:, sent == message], axis=1)
+                sums[message] = field.reduced(sums[message] + mine) if message in sums else mine
+        rows = [(m, i, int(v)) for m, vs in sums.items() for i, v in enumerate(vs)]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate((pa.int32(), pa.int32(), pa.int64()))], ["message", "dim", "v"])
+
+    own = coded.select("message", *[F.col(x).cast("bigint").alias(x) for x in xs]).mapInArrow(run, "message int, dim int, v bigint")
+    return own.groupBy("message", "dim").agg(_mod(F.sum(F.col("v").cast(FIELD)).cast(FIELD)).cast(FIELD).alias("v"))
 
 
 def decode(values: DataFrame, code: Code, received: list[int]) -> DataFrame:
@@ -133,8 +152,6 @@ def store(coded: DataFrame, path: str, draws: int) -> None:
 
 def float_residual(x, theta, K: int, r: int, polys: int, received: list[int]) -> float:
     """Relative error of decoding in floats, for one matrix held by the driver (conditioning study)."""
-    import numpy as np
-
     code = Code(K, r, polys, exact=False)
     blocks = np.array_split(np.asarray(x, float), K)
     rows = max(len(b) for b in blocks)
@@ -156,9 +173,6 @@ def cross_grams(aligned: DataFrame, xs: list[str], K: int):
 
     Every task sums its own positions; (K d)^2 numbers a task are shuffled and reach the driver as sums.
     """
-    import numpy as np
-    import pyarrow as pa
-
     d = len(xs)
 
     def run(batches):
@@ -185,8 +199,6 @@ def cross_grams(aligned: DataFrame, xs: list[str], K: int):
 
 def message_grams(grams, code: Code) -> list:
     """X~'X~ of every message, summed over its groups, from cross products of blocks; in the field as Python integers, or in floats."""
-    import numpy as np
-
     kind, out = (object if code.exact else float), []
     cells = np.asarray(grams).astype(kind)
     for _, _, w in code.encode_coefs():
@@ -199,19 +211,23 @@ def message_grams(grams, code: Code) -> list:
     return out
 
 
-def decode_product(sent: list, z: list[int], code: Code, received: list[int]) -> list[int]:
-    """X'X z as signed integers (below half the prime) from values of the received messages alone."""
-    total = [0] * len(z)
-    for i, w in code.decode_coefs(received):
-        value = [sum(int(g) * t for g, t in zip(row, z, strict=True)) % PRIME for row in sent[i]]
-        total = [(a + w * v) % PRIME for a, v in zip(total, value, strict=True)]
-    return [v - PRIME if v > PRIME // 2 else v for v in total]
+def decode_product(sent: np.ndarray, z: list[int], code: Code, received: list[int]) -> list[int]:
+    """X'X z as signed integers (below half the prime) from values of the received messages alone.
+
+    ``sent`` holds every message's matrix as field elements (``message_grams`` of an exact code, stacked).
+    """
+    held = sent if isinstance(sent, np.ndarray) else np.array(sent, np.uint64)
+    weights = code.decode_coefs(received)
+    mine = held[[i for i, _ in weights]]
+    point = np.array([int(t) % PRIME for t in z], np.uint64)
+    values = field.total(field.times(mine, np.broadcast_to(point, mine.shape)), axis=2)  # what each message carries
+    w = np.array([int(v) for _, v in weights], np.uint64)
+    sums = field.total(field.times(values, np.broadcast_to(w[:, None], values.shape)))
+    return [int(v) - PRIME if v > PRIME // 2 else int(v) for v in sums]
 
 
 def gram_residual(grams, theta, code: Code, received: list[int]) -> float:
     """``float_residual`` of a table of any size, from its cross products."""
-    import numpy as np
-
     theta = np.asarray(theta, float)
     sent = message_grams(grams, code)
     got = sum(w * (sent[i] @ theta) for i, w in code.decode_coefs(received))

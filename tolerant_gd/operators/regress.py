@@ -144,15 +144,21 @@ def block_products(df: DataFrame, theta) -> DataFrame:
     return partial_gradients(df.withColumn("y", F.lit(0).cast("bigint")), theta)
 
 
+def _dealt(df: DataFrame, key: list[str]) -> DataFrame:
+    """``df`` in range partitions of ``key`` numbered by ``_part``.
+
+    Range borders come from a sample, so the dealt table is written once: counts and ranks must see the same borders.
+    """
+    parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return materialise(df.repartitionByRange(parts, *key).withColumn("_part", F.spark_partition_id()), "dealt")
+
+
 def split_balanced(df: DataFrame, K: int, key: list[str]) -> DataFrame:
     """Add ``batch``: contiguous runs in key order whose sizes differ by one at most.
 
     Ranks come in two steps, a count per range partition and a rank inside it, so no task sees all rows.
     """
-    spark = df.sparkSession
-    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    # range borders come from a sample, so the dealt table is written once: counts and ranks must see the same borders
-    dealt = materialise(df.repartitionByRange(parts, *key).withColumn("_part", F.spark_partition_id()), "dealt")
+    dealt = _dealt(df, key)
     sizes = dealt.groupBy("_part").agg(F.count("*").alias("_n"))
     before = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_before"), F.sum("_n").over(Window.partitionBy(F.lit(0))).alias("_all"))
     own = F.row_number().over(Window.partitionBy("_part").orderBy(*key)) - 1
@@ -163,12 +169,22 @@ def split_balanced(df: DataFrame, K: int, key: list[str]) -> DataFrame:
     return ranked.withColumn("batch", batch.cast("int")).drop("_part", "_own", "_before", "_all", "_rank")
 
 
-def pad_blocks(df: DataFrame, order: list[str]) -> DataFrame:
-    """Rows of every batch aligned by ``pos``; shorter batches are filled with zero rows."""
+def align_blocks(df: DataFrame, order: list[str]) -> DataFrame:
+    """Add ``pos``: the rank of a row in its batch, in two steps like ``split_balanced``; a batch is never one task."""
+    dealt = _dealt(df, ["batch", *order])
+    sizes = dealt.groupBy("batch", "_part").agg(F.count("*").alias("_n"))
+    before = sizes.select("batch", "_part", (F.sum("_n").over(Window.partitionBy("batch").orderBy("_part")) - F.col("_n")).alias("_before"))
+    own = F.row_number().over(Window.partitionBy("_part", "batch").orderBy(*order)) - 1
+    return dealt.withColumn("_own", own).join(F.broadcast(before), ["batch", "_part"]).withColumn("pos", F.col("_before") + F.col("_own")).drop("_part", "_own", "_before")
+
+
+def pad_blocks(df: DataFrame, order: list[str], run: int = 100_000) -> DataFrame:
+    """Rows of every batch aligned by ``pos``; shorter batches are filled with zero rows, made in runs of ``run``."""
     xs = features(df)
-    ranked = df.withColumn("pos", F.row_number().over(Window.partitionBy("batch").orderBy(*order)) - 1)
-    spine = ranked.groupBy("batch").agg(F.max("pos").alias("m"))
-    longest = spine.agg(F.max("m").alias("top"))
-    every = spine.join(F.broadcast(longest)).select("batch", F.explode(F.sequence(F.lit(0), F.col("top"))).alias("pos"))
-    filled = every.join(ranked, ["batch", "pos"], "left")
-    return filled.select("batch", "pos", *[F.coalesce(x, F.lit(0).cast("bigint")).alias(x) for x in xs], F.coalesce("y", F.lit(0).cast("bigint")).alias("y"))
+    ranked = align_blocks(df, order).select("batch", "pos", *xs, "y")
+    sizes = ranked.groupBy("batch").agg(F.max("pos").alias("m"))
+    lacking = sizes.join(F.broadcast(sizes.agg(F.max("m").alias("top")))).where("m < top")
+    runs = lacking.select("batch", "top", F.explode(F.sequence(F.col("m") + 1, F.col("top"), F.lit(run).cast("bigint"))).alias("at")).repartition("batch", "at")
+    zeros = runs.select("batch", F.explode(F.sequence("at", F.least(F.col("at") + (run - 1), "top"))).alias("pos"))
+    kinds = dict(df.dtypes)
+    return ranked.unionByName(zeros.select("batch", "pos", *[F.lit(0).cast(kinds[c]).alias(c) for c in (*xs, "y")]))

@@ -11,7 +11,6 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, replace
-from itertools import combinations
 from typing import NamedTuple
 
 CODED = ("gradcode_single", "gradcode_repeat", "gradcode_shared", "gradcode_layered", "gradcode_hybrid", "lagrange_single", "lagrange_multi")
@@ -118,23 +117,24 @@ def message_threshold(s: Scheme) -> int:
 
 
 def worker_threshold(s: Scheme) -> int:
-    """Fewest complete workers that suffice whichever they are (the worst case)."""
-    if s.name in ("gradcode_single", "gradcode_repeat") and s.P == 1 or s.name == "gradcode_repeat":
-        return s.K - s.r + 1
-    per = {}
-    for m in messages(s):
-        per.setdefault(m.worker, set()).add((m.cluster, m.code))
-    n = s.workers
-    for size in range(1, n + 1):
-        if n <= 16:
-            if all(recoverable(s, c) for c in combinations(range(n), size)):
-                return size
-        elif s.name.startswith("lagrange"):
-            each = len(per[0])
-            return -(-message_threshold(s) // each)
-        else:
-            break
-    return n
+    """Fewest complete workers that suffice whichever they are (the worst case).
+
+    The worst set has every worker of all clusters but one, and as many of that one as still fall short: neighbours
+    in the cyclic order, whose codes overlap the most.
+    """
+    need, size = message_threshold(s), s.size
+    if s.name == "backup_workers":
+        return s.workers - s.workers // s.K + 1  # all that lack the batch with the fewest holders
+    if s.name in ("uncoded_multi", "uncoded_partial", "uncoded_single"):
+        short = need - s.r  # c neighbours hold c + r - 1 batches
+    elif s.name == "gradcode_shared":
+        short = need - (s.r - s.order + 1)
+    elif s.name == "gradcode_hybrid":
+        short = 0  # one worker's plain average ends its cluster
+    else:  # every message has a code of its own
+        each = {"gradcode_layered": len(s.orders), "lagrange_multi": s.r // s.polys}.get(s.name, 1)
+        short = -(-need // each) - 1
+    return s.workers - (s.K if s.P == 1 else size) + max(0, short) + 1
 
 
 def available(s: Scheme) -> int:

@@ -43,17 +43,21 @@ def write_files(df: DataFrame, path: str, kind: str = "parquet", by: list[str] |
     (writer.partitionBy(*by) if by else writer).format(kind).save(path)
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` once to the folder that executors share, and read it back: what follows sees one and the same table.
-
-    The folder is ``spark.checkpoint.dir``; where that is unset (tests on one machine), a new one.
-    """
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The folder named in ``spark.checkpoint.dir``; where that is unset, a new one, on a single machine only."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         folder = "file://" + tempfile.mkdtemp(prefix="shared-")
         spark.conf.set("spark.checkpoint.dir", folder)
-    path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
+    return folder.rstrip("/")
+
+
+def materialise(df: DataFrame, name: str) -> DataFrame:
+    """Write ``df`` once to the shared folder, and read it back: what follows sees one and the same table."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -83,6 +87,10 @@ def vector_sample(spark: SparkSession, sf_dir: str, K: int, label_as_y: bool = T
     return e.select(F.col("vec_id").alias("id"), F.pmod("vec_id", F.lit(K)).cast("int").alias("batch"), F.col("embedding").cast("array<double>").alias("x"), F.col("label").cast("double").alias("y"))
 
 
+#: Ids of events that are ranked in one go.
+ID_SLICE = 1 << 20
+
+
 def measurements(spark: SparkSession, sf_dir: str, workers: int = 20) -> DataFrame:
     """(worker, kind, idx, us): events as measured computation and communication times, numbered per worker and kind."""
     from pyspark.sql import Window
@@ -91,5 +99,9 @@ def measurements(spark: SparkSession, sf_dir: str, workers: int = 20) -> DataFra
     kind = F.when(F.col("event_type").isin("view", "click", "purchase"), "comp").otherwise("comm")
     us = F.when(kind == "comp", 500 + F.col("value") * 20).otherwise(F.col("value") * 10)
     rows = e.select(F.pmod("user_id", F.lit(workers)).cast("int").alias("worker"), kind.alias("kind"), "event_id", F.round(us).cast("bigint").alias("us"))
-    order = Window.partitionBy("worker", "kind").orderBy("event_id")
-    return rows.select("worker", "kind", (F.row_number().over(order) - 1).cast("bigint").alias("idx"), "us")
+    # ranks in two steps: inside slices of the ids, and rows of the slices before; no worker is one task
+    rows = rows.withColumn("slice", F.expr(f"event_id div {ID_SLICE}"))
+    own = F.row_number().over(Window.partitionBy("worker", "kind", "slice").orderBy("event_id")) - 1
+    sizes = rows.groupBy("worker", "kind", "slice").agg(F.count("*").alias("n"))
+    before = sizes.select("worker", "kind", "slice", (F.sum("n").over(Window.partitionBy("worker", "kind").orderBy("slice")) - F.col("n")).alias("before"))
+    return rows.withColumn("own", own).join(before, ["worker", "kind", "slice"]).select("worker", "kind", (F.col("before") + F.col("own")).cast("bigint").alias("idx"), "us")

@@ -43,25 +43,26 @@ DONE = "round long, at timestamp, load long, codes long, distinct boolean"
 def completions(messages: DataFrame, need: int, distinct: bool = True, delay: str = "1 day") -> DataFrame:
     """One row a round once ``need`` messages (or distinct codes) are in: when, and how many messages had come.
 
-    State per round: a bit mask of codes, the count, and whether it has ended; it is dropped when the watermark passes.
+    State per round: a bit mask of codes, as many bytes as it needs, the count, and whether it has ended; it is dropped when the watermark passes.
     """
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
-        mask, count, ended = state.get if state.exists else (0, 0, False)
+        seen, count, ended = state.get if state.exists else (b"", 0, False)
+        mask = int.from_bytes(seen, "little")
         out = []
         rows = pd.concat(list(batches)).sort_values(["ts", "seq"])
         for ts, code in zip(rows["ts"], rows["code"], strict=True):
             if ended:
                 break
             mask, count = mask | 1 << int(code), count + 1
-            have = int(mask).bit_count() if distinct else count
+            have = mask.bit_count() if distinct else count
             if have >= need:
                 ended = True
-                out.append((key[0], ts, count, int(mask).bit_count(), distinct))
-        state.update((mask, count, ended))
+                out.append((key[0], ts, count, mask.bit_count(), distinct))
+        state.update((mask.to_bytes(-(-mask.bit_length() // 8), "little"), count, ended))
         watermark = state.getCurrentWatermarkMs()
         last = int(rows["ts"].max().timestamp() * 1000)
         state.setTimeoutTimestamp(max(watermark, last) + 1)
@@ -69,11 +70,11 @@ def completions(messages: DataFrame, need: int, distinct: bool = True, delay: st
             yield pd.DataFrame(out, columns=["round", "at", "load", "codes", "distinct"])
 
     marked = messages.withWatermark("ts", delay)
-    return marked.groupBy("round").applyInPandasWithState(step, DONE, "mask long, count long, ended boolean", "append", GroupStateTimeout.EventTimeTimeout)
+    return marked.groupBy("round").applyInPandasWithState(step, DONE, "mask binary, count long, ended boolean", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def tumbling(messages: DataFrame, length: str = "1 day", delay: str = "1 day") -> DataFrame:
-    return messages.withWatermark("ts", delay).groupBy(F.window("ts", length)).agg(F.count("*").alias("load"), F.expr("bit_count(bit_or(shiftleft(1L, code)))").cast("bigint").alias("codes"))
+    return messages.withWatermark("ts", delay).groupBy(F.window("ts", length)).agg(F.count("*").alias("load"), F.size(F.collect_set("code")).cast("bigint").alias("codes"))
 
 
 def sliding(messages: DataFrame, length: str = "2 days", every: str = "1 day", delay: str = "1 day") -> DataFrame:
