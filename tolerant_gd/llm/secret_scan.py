@@ -17,6 +17,7 @@ start are ordered by kind as listed; every row gives a row.  No part runs in Pyt
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -36,33 +37,56 @@ CANDIDATE_HINT = rf"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*+[0-9])(?=[0-9+/_=-]*+
 CLASSES = (("hex", "^[0-9a-fA-F]+$", 3.0), ("alphanumeric", "^[A-Za-z0-9]+$", 3.6), ("any", "", 3.75))
 ALLOWED = (
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
-    r"^[A-Za-z]*(?:[-_/=+]+[A-Za-z]+|[-_/=+]+[0-9]{1,6})*[-_/=+]*$",
+    r"^[A-Za-z]*(?:[-_/=+]+[A-Za-z]+|[-_/=+]+[0-9]{1,6})*+[-_/=+]*$",
     r"(?i)example|sample|placeholder|dummy|changeme|0123456789|abcdefgh|(.)\1{5}",
 )
 #: Separators at the ends of a part.
-EDGES = "^[+/_=-]+|[+/_=-]+$"
+EDGES = "^[+/_=-]++|(?<![+/_=-])[+/_=-]++$"
+#: Long strings are held in pieces of so many characters, so that no step looks at a string from its start.
+PIECE = 512
 _XLOGX = [0.0] + [c * math.log2(c) for c in range(1, WINDOW + 1)]
 
 
-def _lengths(text: Column, pattern: str) -> Column:
-    """For every match: the length of what lies between it and the one before, and its own."""
+def _lengths(text: Column, pattern: str, with_text: bool = False) -> Column:
+    """For every match: the length of what lies between it and the one before, its own, and as asked its text in pieces."""
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     between = F.split(text, pattern, -1)  # one more than there are matches
-    return F.filter(F.zip_with(between, found, lambda b, f: F.struct(F.length(b).alias("gap"), F.length(f).alias("own"))), lambda x: x["own"].isNotNull())
 
+    def both(b: Column, f: Column) -> Column:
+        return F.struct(F.length(b).alias("gap"), F.length(f).alias("own"), *([_pieces(f).alias("text")] if with_text else []))
 
-def _spans(lengths: Column, kind: int) -> Column:
-    """Structs (start, kind, end) of all matches."""
-    start = F.struct(F.lit(0).alias("at"), _none().alias("out"))
+    return F.filter(F.zip_with(between, found, both), lambda x: x["own"].isNotNull())
+
+
+def _pieces(s: Column) -> Column:
+    return F.regexp_extract_all(s, F.lit(f"(?s).{{1,{PIECE}}}"), F.lit(0))
+
+
+def _cut(pieces: Column, start: Column, end: Column) -> Column:
+    """Characters start to end of a string held in pieces, in time of what is cut out."""
+    a, b = F.floor(start / PIECE).cast("int"), F.floor((end - 1) / PIECE).cast("int")
+    head = F.substring(F.get(pieces, a), start - a * PIECE + 1, F.least(end - start, F.lit(PIECE)))
+    tail = F.substring(F.get(pieces, b), F.lit(1), end - b * PIECE)
+    inner = F.array_join(F.slice(pieces, a + 2, F.greatest(b - a - 1, F.lit(0))), "")
+    return F.when(end <= start, "").when(a == b, head).otherwise(F.concat(head, inner, tail))
+
+
+def _spans(lengths: Column, kind: int, with_text: bool = False) -> Column:
+    """Structs (start, kind, end) of all matches, as asked with their text in pieces."""
+    start = F.struct(F.lit(0).alias("at"), (_no_runs() if with_text else _none()).alias("out"))
 
     def add(acc: Column, x: Column) -> Column:
         begin = acc["at"] + x["gap"]
-        span = F.struct(begin.alias("start"), F.lit(kind).alias("kind"), (begin + x["own"]).alias("end"))
+        span = F.struct(begin.alias("start"), F.lit(kind).alias("kind"), (begin + x["own"]).alias("end"), *([x["text"].alias("text")] if with_text else []))
         return F.struct((begin + x["own"]).alias("at"), F.concat(acc["out"], F.array(span)).alias("out"))
 
     return F.aggregate(lengths, start, add)["out"]
 
 
+def _no_runs() -> Column:
+    return F.array().cast("array<struct<start:int,kind:int,end:int,text:array<string>>>")
+
+
 def _only(spans: Column, flags: Column) -> Column:
     pairs = F.zip_with(spans, flags, lambda s, f: F.struct(s.alias("span"), f.alias("keep")))
     return F.transform(F.filter(pairs, lambda x: x["keep"]), lambda x: x["span"])
@@ -72,54 +96,88 @@ def _none() -> Column:
     return F.array().cast("array<struct<start:int,kind:int,end:int>>")
 
 
-def _parts(run: Column) -> Column:
-    """Structs (start, end, cut) of what base spans (in order of start) leave of a run, if long enough for a window."""
+def _parts(base: Column, runs: Column) -> Column:
+    """Structs (start, value, cut) of what base spans leave of runs, if long enough for a window, in one sweep by start."""
+    no_text = F.array().cast("array<string>")
+    marks = F.concat(F.transform(base, lambda b: F.struct(b["start"].alias("start"), b["kind"].alias("kind"), b["end"].alias("end"), no_text.alias("text"))), runs)
+    stop = F.struct(F.lit(2**31 - 1).alias("start"), F.lit(3).alias("kind"), F.lit(2**31 - 1).alias("end"), no_text.alias("text"))
+    marks = F.concat(F.array_sort(marks), F.array(stop))
+    start = F.struct(F.lit(0).alias("at"), F.lit(0).alias("begin"), F.lit(0).alias("end"), F.lit(False).alias("cut"), F.lit(0).alias("covered"), no_text.alias("text"), F.array().cast("array<struct<start:int,value:string,cut:boolean>>").alias("out"))
 
-    def part(start: Column, end: Column) -> Column:
-        return F.struct(start.alias("start"), end.alias("end"), F.lit(True).alias("cut"))
+    def step(acc: Column, x: Column) -> Column:
+        run, to = x["kind"] == 3, F.least(x["start"], acc["end"])  # the open run is settled up to here
+        touches = ~run & (x["start"] < acc["end"]) & (x["end"] > acc["begin"])
+        whole = F.struct(acc["at"].alias("start"), _cut(acc["text"], acc["at"] - acc["begin"], to - acc["begin"]).alias("value"), (acc["cut"] | touches).alias("cut"))
+        done = (run | touches | (x["start"] >= acc["end"])) & (to - acc["at"] >= WINDOW)
+        covered = F.greatest(acc["covered"], F.when(run, 0).otherwise(x["end"]))
+        return F.struct(
+            F.when(run, F.greatest(x["start"], acc["covered"])).otherwise(F.greatest(acc["at"], F.when(touches, x["end"]).otherwise(to))).alias("at"),
+            F.when(run, x["start"]).otherwise(acc["begin"]).alias("begin"),
+            F.when(run, x["end"]).otherwise(acc["end"]).alias("end"),
+            F.when(run, acc["covered"] > x["start"]).otherwise(acc["cut"] | touches).alias("cut"),
+            covered.alias("covered"),
+            F.when(run, x["text"]).otherwise(acc["text"]).alias("text"),
+            F.when(done, F.concat(acc["out"], F.array(whole))).otherwise(acc["out"]).alias("out"),
+        )
 
-    def split(acc: Column, b: Column) -> Column:
-        longer = F.concat(acc["out"], F.array(part(acc["at"], b["start"])))
-        return F.struct(F.greatest(acc["at"], b["end"]).alias("at"), F.when(b["start"] - acc["at"] >= WINDOW, longer).otherwise(acc["out"]).alias("out"))
+    return F.aggregate(marks, start, step)["out"]
 
-    def close(acc: Column) -> Column:
-        return F.when(run["end"] - acc["at"] >= WINDOW, F.concat(acc["out"], F.array(part(acc["at"], run["end"])))).otherwise(acc["out"])
 
-    touching = F.filter("base", lambda b: (b["start"] < run["end"]) & (b["end"] > run["start"]))
-    whole = F.array(F.struct(run["start"].alias("start"), run["end"].alias("end"), F.lit(False).alias("cut")))
-    start = F.struct(run["start"].alias("at"), F.array().cast("array<struct<start:int,end:int,cut:boolean>>").alias("out"))
-    return F.when(F.size(touching) == 0, whole).otherwise(F.aggregate(touching, start, split, close))
+def _let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once, however often the body (and steps within it) use it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
 def _entropy_bounds(s: Column, cut: Column) -> Column:
     """(first, last) start of windows of ``s`` whose entropy reaches the class's bound; first is -1 if none does."""
-    least, inner = F.lit(CLASSES[-1][2]), F.when(cut, F.regexp_replace(s, EDGES, "")).otherwise(s)
-    for _, pattern, bound in reversed(CLASSES[:-1]):
-        least = F.when(inner.rlike(pattern), F.lit(bound)).otherwise(least)
-    most = (F.lit(math.log2(WINDOW)) - least) * WINDOW + 1e-9  # of the sum of c log2 c
+
+    def bound(inner: Column) -> Column:
+        least = F.lit(CLASSES[-1][2])
+        for _, pattern, bits in reversed(CLASSES[:-1]):
+            least = F.when(inner.rlike(pattern), F.lit(bits)).otherwise(least)
+        return (F.lit(math.log2(WINDOW)) - least) * WINDOW + 1e-9  # of the sum of c log2 c
+
+    def search(x: Column) -> Column:
+        # each piece with the characters of the next one that its last windows reach into
+        reaching = F.transform(x["pieces"], lambda p, i: F.struct((i * PIECE).alias("at"), F.concat(p, F.coalesce(F.substring(F.get(x["pieces"], i + 1), 1, WINDOW - 1), F.lit(""))).alias("s")))
+        found = F.transform(F.filter(reaching, lambda p: F.length(p["s"]) >= WINDOW), lambda p: F.struct(p["at"].alias("at"), _slide(p["s"], x["most"]).alias("b")))
+        return F.filter(found, lambda p: p["b"]["first"] >= 0)
+
+    def ends(hits: Column) -> Column:
+        first, last = F.get(hits, F.lit(0)), F.get(hits, F.size(hits) - 1)
+        return F.struct(F.coalesce(first["at"] + first["b"]["first"], F.lit(-1)).alias("first"), F.coalesce(last["at"] + last["b"]["last"], F.lit(-1)).alias("last"))
+
+    most = _let(F.when(cut, F.regexp_replace(s, EDGES, "")).otherwise(s), bound)
+    return _let(_let(F.struct(_pieces(s).alias("pieces"), most.alias("most")), search), ends)
+
+
+def _slide(s: Column, most: Column) -> Column:
+    """The window over one piece: it loses a character and gains one a step, and the sum changes by their counts."""
     table = F.array(*[F.lit(v) for v in _XLOGX])
 
     def count(window: Column, c: Column) -> Column:
         return F.length(window) - F.length(F.replace(window, c))
 
-    def at(i: Column | int) -> Column:
-        return F.substring(s, i, 1)
+    def run(chars: Column) -> Column:
+        first = F.substring(s, 1, WINDOW)
+        whole = F.aggregate(F.array_distinct(F.slice(chars, 1, WINDOW)), F.lit(0.0), lambda a, c: a + F.get(table, count(first, c)))
+        start = _let(whole, lambda v: F.struct(v.alias("sum"), F.when(v <= most, 0).otherwise(-1).alias("first"), F.when(v <= most, 0).otherwise(-1).alias("last"), first.alias("window")))
+        steps = F.when(F.length(s) > WINDOW, F.sequence(F.lit(1), F.length(s) - WINDOW)).otherwise(F.array().cast("array<int>"))
+        return F.aggregate(steps, start, lambda acc, i: slide(chars, acc, i))
 
-    first = F.substring(s, 1, WINDOW)
-    whole = F.aggregate(F.array_distinct(F.split(first, "")), F.lit(0.0), lambda a, c: a + F.get(table, count(first, c)))
-    hit = whole <= most
-    start = F.struct(whole.alias("sum"), F.when(hit, 0).otherwise(-1).alias("first"), F.when(hit, 0).otherwise(-1).alias("last"))
-
-    def slide(acc: Column, i: Column) -> Column:
-        window, gone, new = F.substring(s, i, F.lit(WINDOW)), at(i), at(i + WINDOW)
+    def slide(chars: Column, acc: Column, i: Column) -> Column:
+        window, gone, new = acc["window"], F.substring(acc["window"], 1, 1), F.get(chars, i + (WINDOW - 1))
         out_n = count(window, gone)
         in_n = count(window, new) - (gone == new).cast("int")
-        total = acc["sum"] + F.get(table, out_n - 1) - F.get(table, out_n) + F.get(table, in_n + 1) - F.get(table, in_n)
-        ok = total <= most
-        return F.struct(total.alias("sum"), F.when(ok & (acc["first"] < 0), i).otherwise(acc["first"]).alias("first"), F.when(ok, i).otherwise(acc["last"]).alias("last"))
+        change = F.get(table, out_n - 1) - F.get(table, out_n) + F.get(table, in_n + 1) - F.get(table, in_n)
+
+        def after(total: Column) -> Column:
+            ok = total <= most
+            return F.struct(total.alias("sum"), F.when(ok & (acc["first"] < 0), i).otherwise(acc["first"]).alias("first"), F.when(ok, i).otherwise(acc["last"]).alias("last"), F.concat(F.substring(window, 2, WINDOW - 1), new).alias("window"))
 
-    steps = F.when(F.length(s) > WINDOW, F.sequence(F.lit(1), F.length(s) - WINDOW)).otherwise(F.array().cast("array<int>"))
-    return F.aggregate(steps, start, slide)
+        return _let(acc["sum"] + change, after)
+
+    return _let(F.split(s, ""), run)
 
 
 def scan(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
@@ -138,26 +196,20 @@ def scan(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
         F.when(text.contains("AKIA"), _lengths(text, ACCESS)).otherwise(none).alias("_access"),
         F.when(text.contains("AKIA"), long_access).otherwise(no_flags).alias("_access_ok"),
         F.when(text.rlike(HEX), _lengths(text, HEX)).otherwise(none).alias("_hex"),
-        F.when(text.rlike(CANDIDATE_HINT), _lengths(text, CANDIDATE)).otherwise(none).alias("_runs"),
+        F.when(text.rlike(CANDIDATE_HINT), _lengths(text, CANDIDATE, True)).alias("_runs"),
     )
     base = F.concat(_only(_spans(F.col("_assign"), 0), F.col("_assign_ok")), _only(_spans(F.col("_access"), 1), F.col("_access_ok")), _spans(F.col("_hex"), 2))
-    rows = rows.select(*keep, "_text", F.array_sort(base).alias("base"), _spans(F.col("_runs"), 3).alias("_runs"))
-
-    rows = rows.select(*keep, "_text", "base", F.when(F.size("_runs") > 0, F.flatten(F.transform("_runs", _parts))).alias("_runs"))
-
-    def value(r: Column) -> Column:
-        return F.substring(text, r["start"] + 1, r["end"] - r["start"])
+    rows = rows.select(*keep, "_text", F.array_sort(base).alias("base"), F.when(F.size("_runs") > 0, _spans(F.col("_runs"), 3, True)).alias("_runs"))
+    rows = rows.select(*keep, "_text", "base", F.when(F.col("_runs").isNotNull(), _parts(F.col("base"), F.col("_runs"))).alias("_parts"))
 
     def wanted(r: Column) -> Column:
-        s = value(r)
-        fine = s.rlike("[0-9]") & s.rlike("[A-Za-z]")
+        fine = r["value"].rlike("[0-9]") & r["value"].rlike("[A-Za-z]")
         for pattern in ALLOWED:
-            fine = fine & ~s.rlike(pattern)
+            fine = fine & ~r["value"].rlike(pattern)
         return fine
 
-    runs = F.filter("_runs", wanted)
-    bounds = F.transform(runs, lambda r: F.struct(r["start"].alias("start"), _entropy_bounds(value(r), r["cut"]).alias("b")))
-    rows = rows.select(*keep, "_text", "base", F.when(F.size("_runs") > 0, bounds).alias("_bounds"))
+    bounds = F.transform(F.filter("_parts", wanted), lambda r: F.struct(r["start"].alias("start"), _entropy_bounds(r["value"], r["cut"]).alias("b")))
+    rows = rows.select(*keep, "_text", "base", F.when(F.size("_parts") > 0, bounds).alias("_bounds"))
     entropy = F.transform(F.filter("_bounds", lambda x: x["b"]["first"] >= 0), lambda x: F.struct((x["start"] + x["b"]["first"]).alias("start"), F.lit(3).alias("kind"), (x["start"] + x["b"]["last"] + WINDOW).alias("end")))
     return rows.select(*keep, "_text", "base", F.array_sort(F.concat("base", F.coalesce(entropy, _none()))).alias("found"))
 
@@ -183,16 +235,23 @@ def redact(docs: DataFrame, mask: str = "[SECRET]") -> DataFrame:
     columns = docs.columns
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("_row"), "text")  # no name of docs can clash
     found = scan(packed, ["_row"])
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-
-    def cut(acc: Column, s: Column) -> Column:
-        inside = s["start"] < acc["at"]
-        piece = F.substring(F.col("_text"), acc["at"] + 1, s["start"] - acc["at"])
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(inside, acc["out"]).otherwise(F.concat(acc["out"], piece, F.lit(mask))).alias("out"))
-
-    found = found.select("_row", "_text", F.when(F.size("found") > 0, F.aggregate("found", start, cut)).alias("_done"))
-    rest = F.substring(F.col("_text"), F.col("_done.at") + 1, F.length("_text"))
-    clean = found.select("_row", F.when(F.col("_done").isNull(), F.col("_text")).otherwise(F.concat("_done.out", rest)).alias("_clean"))
+    # spans united where they overlap: what stays is the text between neighbours
+    none = F.array().cast("array<struct<start:int,end:int>>")
+
+    def unite(acc: Column, x: Column) -> Column:
+        inside = x["start"] < acc["end"]
+        return F.struct(
+            F.when(inside, acc["start"]).otherwise(x["start"]).alias("start"),
+            F.when(inside, F.greatest(acc["end"], x["end"])).otherwise(x["end"]).alias("end"),
+            F.when(inside, acc["out"]).otherwise(F.concat(acc["out"], F.array(F.struct(acc["start"].alias("start"), acc["end"].alias("end"))))).alias("out"),
+        )
+
+    united = F.aggregate("found", F.struct(F.lit(0).alias("start"), F.lit(0).alias("end"), none.alias("out")), unite)
+    found = found.select("_row", "_text", F.when(F.size("found") > 0, united).alias("_u"), F.when(F.size("found") > 0, _pieces(F.col("_text"))).alias("_pieces"))
+    found = found.select("_row", "_text", "_pieces", F.concat("_u.out", F.array(F.struct(F.col("_u.start").alias("start"), F.col("_u.end").alias("end")))).alias("_spans"))
+    nexts = F.concat(F.transform(F.slice("_spans", 2, F.size("_spans")), lambda x: x["start"]), F.array(F.length("_text")))
+    between = F.zip_with("_spans", nexts, lambda x, to: _cut(F.col("_pieces"), x["end"], to))  # the first one is the empty span at 0
+    clean = found.select("_row", F.when(F.col("_spans").isNull(), F.col("_text")).otherwise(F.array_join(between, mask)).alias("_clean"))
     out = {c: F.col("_row").getField(c) for c in columns} | {"text": F.col("_clean")}
     if "n_chars" in columns:
         out["n_chars"] = F.when(F.col("_clean").isNull(), out["n_chars"]).otherwise(F.length("_clean")).cast(docs.schema["n_chars"].dataType)
