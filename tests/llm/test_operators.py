@@ -301,23 +301,25 @@ def plain_hits(docs, items):
         w = words(text)
         k = min(10, len(w))
         for i in range(len(w) - k + 1 if k else 0):
-            windows.setdefault(tuple(w[i : i + k]), set()).add(str(item))
+            windows.setdefault(tuple(w[i : i + k]), set()).update({str(item)} if item is not None else ())
     out = Counter()
     for doc, text in docs:
         w, hit, found = words(text), set(), set()
         for k in {len(x) for x in windows}:
             for i in range(len(w) - k + 1):
-                if own := windows.get(tuple(w[i : i + k])):
+                if (own := windows.get(tuple(w[i : i + k]))) is not None:
                     hit.update(range(i, i + k))
                     found |= own
         out[doc, len(w), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), bool(hit)] += 1
     return out
 
 
-@pytest.mark.parametrize("slice_chars", [10**9, 2_000])
+@pytest.mark.parametrize("slice_chars", [10**9, 2_000, 300])
 def test_decontamination_equals_plain(spark, sf, slice_chars):
-    items = [tuple(r) for r in table(spark, sf, "benchmark").collect()] + [(900, "Short Item"), (901, "short, item!"), (902, None), (903, "...")]
-    docs = ODD + sample(spark, sf) + [(90, "SHORT item é short item"), (91, items[0][1]), (91, items[0][1])]
+    items = [tuple(r) for r in table(spark, sf, "benchmark").collect()] + [(900, "Short Item"), (901, "short, item!"), (902, None), (903, "..."), (None, "no id here"), (904, "no ID here"), (905, "w1 w2 w3 é " * 300)]
+    items.append((None, items[2][1]))
+    docs = [*ODD, (92, "x no id here y"), (93, items[2][1] + " tail"), (94, "w2 w3 é w1 w2 w3 é w1 w2 w3 é w1")]
+    docs += sample(spark, sf) + [(90, "SHORT item é short item"), (91, items[0][1]), (91, items[0][1])]
     bench = spark.createDataFrame(items, "item_id long, text string")
     got = decontaminate.report(spark.createDataFrame(docs, "doc_id long, text string"), bench, slice_chars=slice_chars).collect()
     assert Counter(tuple(r) for r in got) == plain_hits(docs, items)

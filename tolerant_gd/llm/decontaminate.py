@@ -9,12 +9,12 @@ The broadcast is checked: test items are dealt into slices of at most ``slice_ch
 characters, each slice is scanned for by itself, and the hits are united per document, so
 a benchmark of any size works and no broadcast grows with it.  Null text has no words; an
 empty benchmark or table gives no hits or no rows; repeated rows each get their own row;
-an item without words has no windows; items with equal windows are all reported.
+an item without words has no windows; items with equal windows are all reported; an item without
+an id hits words like any other but is in no list or count of items.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from tolerant_gd.llm.bytewords import split_words, texts, window_hashes
 
 WINDOW = 10
-SLICE_CHARS = 16_000_000
+SLICE_CHARS = 4_000_000
 
 
 def word_bytes() -> np.ndarray:
@@ -37,25 +37,36 @@ def word_bytes() -> np.ndarray:
 IS_WORD = word_bytes()
 
 
-def _words_of(text: str) -> tuple[list[bytes], np.ndarray]:
-    raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), np.uint8)
-    w = split_words(raw, np.array([0, len(raw)]), IS_WORD)
-    return [w.data[a:b].tobytes() for a, b in zip(w.starts, w.ends, strict=True)], w.hashes
+_NONE = np.empty(0, np.int64)
 
 
 class WindowSet:
-    """The windows of test items, by window length."""
+    """The windows of test items, by window length: sorted hashes, and where in the items' words each window stands.
+
+    Some 40 bytes a word in all, in arrays: ``slices`` bounds the number of words.
+    """
 
-    def __init__(self, items: list[tuple[str, str]], size: int = WINDOW):
-        found: dict[int, dict[int, list[tuple[bytes, str]]]] = {}
-        for item, text in items:
-            words, hashes = _words_of(text or "")
-            k = min(size, len(words))
+    def __init__(self, items: list[tuple[str | None, str]], size: int = WINDOW):
+        self.names, words, firsts, found = [item for item, _ in items], [], [0], {}
+        for number, (_, text) in enumerate(items):
+            raw = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
+            w = split_words(raw, np.array([0, len(raw)]), IS_WORD)
+            k = min(size, len(w.starts))
             if k:
-                for at, h in enumerate(window_hashes(hashes, k).tolist()):
-                    found.setdefault(k, {}).setdefault(h, []).append((b" ".join(words[at : at + k]), item))
-        self.by_size = {k: (np.array(sorted(t), np.uint64), t) for k, t in found.items()}
-        self.filters = {k: self._filter(h) for k, (h, _) in self.by_size.items()}
+                hashes = window_hashes(w.hashes, k)
+                found.setdefault(k, []).append((hashes, np.full(len(hashes), number), firsts[-1] + np.arange(len(hashes))))
+            words.append((w.data, w.starts, w.ends))
+            firsts.append(firsts[-1] + len(w.starts))
+        sizes = np.cumsum([0] + [len(d) for d, _, _ in words])
+        self.data = np.concatenate([d for d, _, _ in words]) if words else np.empty(0, np.uint8)
+        self.starts = np.concatenate([s + at for (_, s, _), at in zip(words, sizes, strict=False)]) if words else _NONE
+        self.ends = np.concatenate([e + at for (_, _, e), at in zip(words, sizes, strict=False)]) if words else _NONE
+        self.by_size = {}
+        for k, parts in found.items():
+            hashes, number, at = (np.concatenate(x) for x in zip(*parts, strict=True))
+            order = np.argsort(hashes, kind="stable")
+            self.by_size[k] = (hashes[order], number[order], at[order])
+        self.filters = {k: self._filter(h) for k, (h, _, _) in self.by_size.items()}
 
     @staticmethod
     def _filter(hashes: np.ndarray) -> np.ndarray:
@@ -64,6 +75,9 @@ class WindowSet:
         out[(hashes >> np.uint64(44)).astype(np.int64)] = True
         return out
 
+    def window(self, at: int, k: int) -> bytes:
+        return b" ".join([self.data[a:b].tobytes() for a, b in zip(self.starts[at : at + k], self.ends[at : at + k], strict=True)])
+
     def scan(self, column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, set[str]]]:
         """(row, words, ordinals of hit words, items) of every row."""
         for row, raw, offsets in texts(column):
@@ -71,43 +85,51 @@ class WindowSet:
             counts = np.diff(w.first)
             hit = np.zeros(len(w.starts), bool)
             items: dict[int, set[str]] = {}
-            for k, (known, table) in self.by_size.items():
+            for k, (known, number, place) in self.by_size.items():
                 hashes = window_hashes(w.hashes, k)
                 at = np.flatnonzero(self.filters[k][(hashes >> np.uint64(44)).astype(np.int64)])
-                near = np.minimum(np.searchsorted(known, hashes[at]), len(known) - 1)
-                at = at[known[near] == hashes[at]]
+                low, high = np.searchsorted(known, hashes[at], "left"), np.searchsorted(known, hashes[at], "right")
                 docs = np.searchsorted(w.first, at, "right") - 1
-                inside = at + k <= w.first[docs + 1]
-                for doc, p in zip(docs[inside].tolist(), at[inside].tolist(), strict=True):
-                    words = b" ".join([w.data[a:b].tobytes() for a, b in zip(w.starts[p : p + k], w.ends[p : p + k], strict=True)])
-                    true = [item for text, item in table[int(hashes[p])] if text == words]
+                inside = (low < high) & (at + k <= w.first[docs + 1])
+                for doc, p, a, b in zip(docs[inside].tolist(), at[inside].tolist(), low[inside].tolist(), high[inside].tolist(), strict=True):
+                    words = b" ".join([w.data[x:y].tobytes() for x, y in zip(w.starts[p : p + k], w.ends[p : p + k], strict=True)])
+                    seen: dict[int, bool] = {}  # an item may hold a window many times
+                    for i in range(a, b):
+                        if not seen.get(int(number[i])):
+                            seen[int(number[i])] = self.window(int(place[i]), k) == words
+                    true = [self.names[i] for i, same in seen.items() if same]
                     if true:
                         hit[p : p + k] = True
-                        items.setdefault(doc, set()).update(true)
+                        items.setdefault(doc, set()).update(x for x in true if x is not None)
             for doc, n in enumerate(counts.tolist()):
                 own = items.get(doc)
-                yield row + doc, n, np.flatnonzero(hit[w.first[doc] : w.first[doc + 1]]) if own else _NONE, own or set()
+                yield row + doc, n, _NONE if own is None else np.flatnonzero(hit[w.first[doc] : w.first[doc + 1]]), own or set()
 
 
-_NONE = np.empty(0, np.int64)
-
+def slices(benchmark: DataFrame, slice_chars: int = SLICE_CHARS, size: int = WINDOW) -> list[DataFrame]:
+    """The test items in parts whose text is small enough to broadcast (the size is read, not assumed).
 
-def slices(benchmark: DataFrame, slice_chars: int = SLICE_CHARS) -> list[DataFrame]:
-    """The test items in parts whose text is small enough to broadcast (the size is read, not assumed)."""
+    An item longer than a slice is itself dealt in runs of words that overlap by a window less one word.
+    """
     sized = benchmark.select(F.col("item_id").cast("string").alias("item"), "text").where("text is not null")
-    chars = sized.agg(F.sum(F.length("text"))).first()[0] or 0
-    n = -(-chars // slice_chars)
-    return [sized.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == i) for i in range(n)] if n > 1 else [sized]
-
-
-def _digest(items: set[str]) -> str:
-    return hashlib.sha256(",".join(sorted(items)).encode()).hexdigest()
+    longest, chars = sized.agg(F.max(F.length("text")), F.sum(F.length("text"))).first()
+    n = -(-(chars or 0) // slice_chars)
+    if n <= 1:
+        return [sized]
+    if longest > slice_chars:
+        run = max(1, slice_chars // 16)
+        words = F.regexp_extract_all("text", F.lit(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"), F.lit(0))
+        cut = sized.select("item", "text", F.when(F.length("text") > slice_chars, words).alias("w"))
+        starts = F.sequence(F.lit(1), F.greatest(F.size("w") - (size - 1), F.lit(1)), F.lit(run))
+        runs = F.transform(starts, lambda at: F.array_join(F.slice("w", at, run + size - 1), " "))
+        sized = cut.select("item", F.explode(F.when(F.col("w").isNull(), F.array("text")).otherwise(runs)).alias("text"))
+    return [sized.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == i) for i in range(n)]
 
 
 def scan(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_chars: int = SLICE_CHARS, keep: list[str] | None = None) -> DataFrame:
     """``keep`` columns (default doc_id) with n_words, hits (ordinals of hit words) and items (sorted ids)."""
     keep = keep or ["doc_id"]
-    spark, parts = docs.sparkSession, slices(benchmark, slice_chars)
+    spark, parts = docs.sparkSession, slices(benchmark, slice_chars, size)
     inside = keep == ["_whole"]  # a packed row holds the text already
     rows = docs.select(*(F.col(c) for c in keep), *([] if inside else [F.col("text").alias("_text")]))
     found = None

@@ -170,12 +170,15 @@ def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAM
     Documents of over ``sample_chars`` characters come last, and only their first ``sample_chars`` are learned.
     """
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
-    order = Window.partitionBy("lang").orderBy(F.length("text") > sample_chars, F.xxhash64("doc_id"), "doc_id")
-    chosen = rows.select("lang", "doc_id", F.row_number().over(order).alias("r")).where(F.col("r") <= sample_docs)  # keys only
+    rows = rows.select("lang", "doc_id", F.xxhash64("text").alias("mark"), "text")
+    order = Window.partitionBy("lang").orderBy(F.length("text") > sample_chars, F.xxhash64("doc_id"), "doc_id", "mark")
+    chosen = rows.select("lang", "doc_id", "mark", F.row_number().over(order).alias("r")).where(F.col("r") <= sample_docs)  # keys only
+    keys = ["lang", "doc_id", "mark"]
+    found = rows.join(F.broadcast(chosen.select(*keys)), keys, "left_semi").groupBy(*keys).agg(F.first(F.substring("text", 1, sample_chars)).alias("text"))
     samples: dict[str, list[bytes]] = {}
-    for lang, text in rows.join(F.broadcast(chosen.select("lang", "doc_id")), ["lang", "doc_id"], "left_semi").select("lang", F.substring("text", 1, sample_chars).alias("text")).collect():
+    for lang, text in found.select("lang", "text").collect():  # equal rows count once, so the bound holds
         samples.setdefault(lang, []).append(text.encode("utf-8", "surrogatepass"))
-    return Model({k: sorted(v)[: 2 * sample_docs] for k, v in samples.items()}) if samples else None
+    return Model(samples) if samples else None
 
 
 def _letters(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:

@@ -191,9 +191,10 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> R
     some = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "quality")
     some = some.orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(sample_docs)
     rows = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")
-    stats = statistics(F.col("text"))
-    got = rows.select("doc_id", "quality", *[c.cast("double").alias(n) for n, c in stats.items()]).collect()
-    got = sorted(tuple(r) for r in got)[: 2 * sample_docs]
+    stats = [c.cast("double").alias(n) for n, c in statistics(F.col("text")).items()]
+    # several rows may have one doc_id: the bound holds for rows too, by the same order and not by the order of ids
+    chosen = rows.select(F.xxhash64("doc_id").alias("_h"), F.xxhash64("text", "quality").alias("_t"), "doc_id", "quality", *stats)
+    got = sorted(tuple(r)[2:] for r in chosen.orderBy("_h", "doc_id", "_t").limit(sample_docs).collect())
     data = np.array([r[2:] for r in got], float).reshape(len(got), len(names))
     return fit_arrays(data, np.array([float(r[1] == 1) for r in got]), names)
 
