@@ -250,7 +250,44 @@ def test_boilerplate_of_many_kinds_goes():
     assert mincut_html.main_text("<article><p>" + "x " * 50_000) == " ".join(["x"] * 50_000)
 
 
-def test_cut_is_minimal():
+def test_only_the_cut_gets_these_pages_right():
+    """No element is named; blocks that their own text would misjudge follow their neighbours."""
+    long = "This is a paragraph of the story, with commas, and long enough to be told from a menu. It goes on."
+    links = "".join(f"<div><a href=/{i}>Section {i}</a></div>" for i in range(5))
+    page = f"<div><div>{links}<div>See also more of these, all of them, here and there. Now</div>{links}</div></div><div><div>{long}<div>{long}</div><div>Yes.</div><div>{long}</div></div></div>"
+    found = mincut_html.blocks(page)
+    own = mincut_html.own_odds(found, mincut_html.PRIOR)
+    odds = [a + b for a, b in zip(own, mincut_html.ties(found), strict=True)]
+    got = mincut_html.label(odds, mincut_html.smoothness(found))
+    by = {b.text: (o > 0, keep) for b, o, keep in zip(found, odds, got, strict=True)}
+    assert by["Yes."] == (False, True)
+    assert by["See also more of these, all of them, here and there. Now"] == (True, False)
+    assert mincut_html.main_text(page) == "\n".join([long, long, "Yes.", long])
+
+
+def test_most_blocks_enter_the_graph_and_it_changes_labels(spark, sf):
+    pages = [r.html for r in table(spark, sf, "pages").collect()]
+    weights = mincut_html.fit(table(spark, sf, "pages"))
+    total, inside, changed = mincut_html.share_of_cut(pages, weights)
+    assert inside > total / 3
+    assert changed > len(pages)
+    assert weights != mincut_html.PRIOR
+    assert weights[1] > 0 > weights[3]
+    assert mincut_html.learn([]) == mincut_html.learn(["<p>no main element</p>"]) == mincut_html.PRIOR
+
+
+def test_time_grows_with_the_page():
+    import time
+
+    for part in ("<div>x", "<p><span>x</i>", "<ul><li>x<div>", "<td>x<span>", "<a href=x>y<div>", "</section><div>z", "<table><tr><td>x"):
+        began = time.time()
+        mincut_html.main_text(part * 100_000)
+        assert time.time() - began < 15, part
+
+
+@pytest.mark.parametrize("thin_from", [0, 200])
+def test_cut_is_minimal(monkeypatch, thin_from):
+    monkeypatch.setattr(mincut_html, "THIN_FROM", thin_from)
     rng = np.random.default_rng(7)
     for _ in range(100):
         n = int(rng.integers(1, 9))

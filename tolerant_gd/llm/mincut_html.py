@@ -1,15 +1,19 @@
 """Main text of HTML pages by minimum cut.
 
-A page becomes text blocks (runs of text between block-level tags).  A classifier gives
-each block a cost for either label from its length, punctuation, link density, tag and the
-elements and class words above it; these costs are the capacities to the two terminals.
-Smoothness edges join neighbouring blocks and blocks under one parent, the stronger the
-more ancestors they share.  The minimum cut separates content from boilerplate; content
-blocks are joined in page order.
+A page becomes text blocks (runs of text between block-level tags).  A logistic classifier
+gives each block a cost for either label from its own text (length, sentences, link share); these costs, at most ``MOST_OWN``, are the capacities to the two terminals.  DOM edges tie a block to the
+elements it stands in: one that its tag, class or role settles (article, nav, advert) counts as
+merged with its terminal, so its ties are terminal capacities too.  Smoothness edges join
+neighbouring blocks, the stronger the more ancestors they share, and blocks under one parent.  The minimum cut separates content
+from boilerplate; content blocks are joined in page order.
+
+The classifier's weights are learned from blocks of at most ``SAMPLE_PAGES`` pages (those of least hash) that have an article or
+main element: blocks inside it are content, the others are not.  They are drawn towards ``PRIOR``, which also holds where no page
+has such an element.
 
 Every page gives one row.  Null or empty html, and pages without content, give the empty
 text.  Unclosed, stray or cut-off markup is read the way browsers recover from it; extra
-columns are not carried; repeated page ids are kept as they are.
+columns are not carried; repeated page ids are kept as they are.  Time grows in proportion to a page, also for deep or unclosed markup.
 """
 
 from __future__ import annotations
@@ -17,9 +21,10 @@ from __future__ import annotations
 import html
 import math
 import re
-from collections import deque
+from collections import Counter, deque
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -45,7 +50,18 @@ _ATTRIBUTE = re.compile(r"""(?:^|[\s"'/])(class|id|role|hidden|aria-hidden|style
 _SENTENCE = re.compile(r"[.!?…。](?:\s|$)|,\s")
 _HIDING = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 
-SMOOTH_NEXT, SMOOTH_PARENT, CERTAIN = 0.6, 0.3, 60.0
+#: Weights of smoothness edges, of ties to elements that are settled, and the most that a block's own text may say.
+SMOOTH_NEXT, SMOOTH_PARENT = 1.5, 0.75
+TIE_NEVER, TIE_MAIN, TIE_PART, MOST_OWN = -60.0, 8.0, -14.0, 4.0
+TIE_TAG = {"p": 1.0, "h1": 1.0, "h2": 0.6, "h3": 0.4, "blockquote": 0.8, "pre": 0.8, "li": -0.3, "td": -0.3, "th": -0.3}
+#: Odds beyond which a block is a seed: no sum of what else speaks of it comes near.
+SEED = 30.0
+#: Before anything is learned: bias, length, sentences, link share.
+PRIOR = (-1.0, 1.0, 1.0, -4.0)
+#: Pages that the classifier learns from at most, and how firmly it is drawn to PRIOR (as so many blocks).
+SAMPLE_PAGES, PRIOR_BLOCKS = 400, 50.0
+#: Components of the graph of more blocks than this are thinned, block by block, before the flow.
+THIN_FROM = 200
 
 
 class Element:
@@ -99,10 +115,16 @@ def blocks(page: str) -> list[Block]:
     """Text blocks in page order, with white space collapsed and character references decoded."""
     top = Element("#", "", None, 0)
     stack, number, out = [top], 1, []
+    opened: Counter[str] = Counter()  # of the stack's tags
     pieces: list[str] = []
     linked = links = 0
     holder = top
 
+    def cut(i: int) -> None:
+        for e in stack[i:]:
+            opened[e.tag] -= 1
+        del stack[i:]
+
     def flush() -> None:
         nonlocal linked, pieces
         if pieces:
@@ -142,67 +164,96 @@ def blocks(page: str) -> list[Block]:
                 flush()
             if name == "a":
                 links = max(0, links - 1)
-            for i in range(len(stack) - 1, 0, -1):
+            for i in range(len(stack) - 1, 0, -1) if opened[name] else ():
                 if stack[i].tag == name:
-                    del stack[i:]
+                    cut(i)
                     break
                 if name not in BLOCK_TAGS and stack[i].tag in BLOCK_TAGS:
                     break  # a stray inline end tag closes nothing beyond its block
             if name in BLOCK_TAGS:
-                links = sum(e.tag == "a" for e in stack)
+                links = opened["a"]
         else:
             if name in BLOCK_TAGS:
                 flush()
-                if name in P_ENDERS and any(e.tag == "p" for e in stack):
-                    while stack[-1].tag != "p":
-                        stack.pop()
-                    stack.pop()
-                if name in ("li", "dt", "dd", "tr", "td", "th", "option"):
-                    _imply_end(stack, name)
+                if name in P_ENDERS and opened["p"]:
+                    cut(next(i for i in range(len(stack) - 1, 0, -1) if stack[i].tag == "p"))
+                if name in KIN and any(opened[k] for k in KIN[name]):
+                    cut(_implied_end(stack, name))
                 if name == "hr":
                     continue
             if name == "a":
                 links = 1
             stack.append(Element(name, m.group(3), stack[-1], number))
+            opened[name] += 1
             number += 1
     flush()
     return out
 
 
-def _imply_end(stack: list[Element], name: str) -> None:
-    """An item ends an open one of its kind that belongs to the same list or table."""
-    kinds = {"dt": ("dt", "dd"), "dd": ("dt", "dd"), "td": ("td", "th"), "th": ("td", "th"), "tr": ("tr",)}.get(name, (name,))
+KIN = {"li": ("li",), "option": ("option",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "td": ("td", "th"), "th": ("td", "th"), "tr": ("tr",)}
+
+
+def _implied_end(stack: list[Element], name: str) -> int:
+    """Where the stack ends when an item ends an open one of its kind that belongs to the same list or table."""
     walls = ("ul", "ol", "dl", "table", "menu", "select", "#") + (("tr",) if name in ("td", "th") else ())
     for i in range(len(stack) - 1, 0, -1):
-        if stack[i].tag in kinds:
-            del stack[i:]
-            return
+        if stack[i].tag in KIN[name]:
+            return i
         if stack[i].tag in walls:
-            return
+            break
+    return len(stack)
 
 
 def _block_tag(e: Element | None) -> str:
-    while e and e.tag not in BLOCK_TAGS:
+    for _ in range(64):
+        if not e or e.tag in BLOCK_TAGS:
+            break
         e = e.parent
     return e.tag if e else ""
 
 
-TAG_ODDS = {"p": 1.0, "h1": 1.0, "h2": 0.6, "h3": 0.4, "blockquote": 0.8, "pre": 0.8, "li": -0.3, "td": -0.3, "th": -0.3}
+def clues(b: Block) -> tuple[float, ...]:
+    """What the classifier sees of a block: its own text, nothing of the elements it stands in."""
+    size = len(b.text)
+    return (1.0, min(size, 400) / 150, min(len(_SENTENCE.findall(b.text)), 6) * 0.25, min(1.0, b.link / max(1, size)))
 
 
-def content_odds(b: Block, has_main: bool) -> float:
-    """Log-odds that a block is content."""
-    e = b.element
-    if e.never:
-        return -CERTAIN
-    size = len(b.text)
-    odds = -1.0 + min(size, 400) / 150 + min(len(_SENTENCE.findall(b.text)), 6) * 0.25
-    odds += TAG_ODDS.get(_block_tag(e), 0.0) - 4.0 * min(1.0, b.link / max(1, size)) + e.odds
-    if e.good:
-        odds += 6.0
-    elif has_main:
-        odds -= 6.0
-    return odds - 14.0 if e.part else odds
+def own_odds(found: list[Block], weights: tuple[float, ...]) -> list[float]:
+    """Log-odds that a block is content by its own text."""
+    return [max(-MOST_OWN, min(MOST_OWN, sum(w * x for w, x in zip(weights, clues(b), strict=True)))) for b in found]
+
+
+def ties(found: list[Block]) -> list[float]:
+    """Capacity of the edges to the elements a block stands in: positive to content, negative to boilerplate."""
+    has_main = any(b.element.good and not b.element.never for b in found)
+    out = []
+    for b in found:
+        e = b.element
+        main = TIE_MAIN if e.good else -TIE_MAIN if has_main else 0.0
+        out.append(TIE_NEVER if e.never else main + e.odds + TIE_TAG.get(_block_tag(e), 0.0) + (TIE_PART if e.part else 0.0))
+    return out
+
+
+def learn(pages: list[str]) -> tuple[float, ...]:
+    """Classifier weights from the blocks of pages whose markup names the content; logistic, drawn towards PRIOR."""
+    rows, marks = [], []
+    for page in pages:
+        found = blocks(page)
+        if any(b.element.good and not b.element.never for b in found):
+            rows += [clues(b) for b in found]
+            marks += [b.element.good and not b.element.never and not b.element.part for b in found]
+    prior = np.array(PRIOR)
+    if not rows or all(marks) or not any(marks):
+        return PRIOR
+    x, y, w = np.array(rows), np.array(marks, float), prior.copy()
+    pull = PRIOR_BLOCKS * np.eye(len(w)) / 4
+    for _ in range(30):  # Newton steps
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        step = np.linalg.solve(x.T @ (x * (p * (1 - p))[:, None]) + pull, x.T @ (y - p) - pull @ (w - prior))
+        w = w + step
+        if np.abs(step).max() < 1e-9:
+            break
+    return tuple(float(v) for v in w)
 
 
 class Cut:
@@ -278,55 +329,129 @@ def smoothness(found: list[Block]) -> list[tuple[int, int, float]]:
 def label(odds: list[float], edges: list[tuple[int, int, float]]) -> list[bool]:
     """The labelling of least cost: True is content.
 
-    A block whose odds outweigh all its edges keeps its own label in every minimum cut; only the others enter the graph.
+    Seeds, whose odds outweigh all their edges by far, keep their own label in every minimum cut; the others enter the graph.
     """
     weight = [0.0] * len(odds)
     for a, b, w in edges:
         weight[a] += w
         weight[b] += w
-    fixed = [abs(o) > w for o, w in zip(odds, weight, strict=True)]
+    fixed = [abs(o) > max(w, SEED) for o, w in zip(odds, weight, strict=True)]
     open_ = [i for i, f in enumerate(fixed) if not f]
     answer = [o > 0 for o in odds]
     if not open_:
         return answer
-    spot = {i: k for k, i in enumerate(open_)}
-    n = len(open_)
-    pull = [odds[i] for i in open_]
-    cut = Cut(n + 2)
+    near: dict[int, list[tuple[int, float]]] = {i: [] for i in open_}
+    pull = dict(zip(open_, [odds[i] for i in open_], strict=True))
     for a, b, w in edges:
-        if a in spot and b in spot:
-            cut.edge(spot[a], spot[b], w, w)
-        elif a in spot or b in spot:
-            inner, outer = (a, b) if a in spot else (b, a)
-            pull[spot[inner]] += w if answer[outer] else -w
-    for k, p in enumerate(pull):
-        if p > 0:
-            cut.edge(n, k, p, 0.0)
-        elif p < 0:
-            cut.edge(k, n + 1, -p, 0.0)
+        for i, k in ((a, b), (b, a)):
+            if i in near:
+                if k in near:
+                    near[i].append((k, w))
+                else:
+                    pull[i] += w if answer[k] else -w
+    for group in _groups(near):
+        if len(group) > THIN_FROM:
+            group = _thinned(group, near, pull, answer)
+        if group:
+            _flow(group, near, pull, answer)
+    return answer
+
+
+def _groups(near: dict[int, list[tuple[int, float]]]) -> Iterator[list[int]]:
+    """Connected components of the open blocks."""
+    seen: set[int] = set()
+    for first in near:
+        if first not in seen:
+            seen.add(first)
+            group = [first]
+            for i in group:
+                for k, _ in near[i]:
+                    if k not in seen:
+                        seen.add(k)
+                        group.append(k)
+            yield group
+
+
+def _thinned(group: list[int], near: dict[int, list[tuple[int, float]]], pull: dict[int, float], answer: list[bool]) -> list[int]:
+    """Settle blocks whose pull outweighs their edges to blocks not yet settled, until none is left that does."""
+    weight = {i: sum(w for _, w in near[i]) for i in group}
+    todo, done = deque(group), set()
+    while todo:
+        i = todo.popleft()
+        if i in done or abs(pull[i]) <= weight[i]:
+            continue
+        done.add(i)
+        answer[i] = pull[i] > 0
+        for k, w in near[i]:
+            if k not in done:
+                pull[k] += w if answer[i] else -w
+                weight[k] -= w
+                todo.append(k)
+    left = [i for i in group if i not in done]
+    for i in left:
+        near[i] = [(k, w) for k, w in near[i] if k not in done]
+    return left
+
+
+def _flow(group: list[int], near: dict[int, list[tuple[int, float]]], pull: dict[int, float], answer: list[bool]) -> None:
+    spot, n = {i: k for k, i in enumerate(group)}, len(group)
+    cut = Cut(n + 2)
+    for i, k in spot.items():
+        for other, w in near[i]:
+            if i < other:
+                cut.edge(k, spot[other], w, w)
+        if pull[i] > 0:
+            cut.edge(n, k, pull[i], 0.0)
+        elif pull[i] < 0:
+            cut.edge(k, n + 1, -pull[i], 0.0)
     side = cut.source_side(n, n + 1)
     for i, k in spot.items():
         answer[i] = side[k]
-    return answer
 
 
-def main_text(page: str | None) -> str:
+def main_text(page: str | None, weights: tuple[float, ...] = PRIOR) -> str:
     found = blocks(page or "")
     if not found:
         return ""
-    has_main = any(b.element.good and not b.element.never for b in found)
-    odds = [max(-CERTAIN, min(CERTAIN, content_odds(b, has_main))) for b in found]
+    odds = [a + b for a, b in zip(own_odds(found, weights), ties(found), strict=True)]
     if not all(math.isfinite(o) for o in odds):
         raise ValueError("odds must be finite")
     return "\n".join([b.text for b, keep in zip(found, label(odds, smoothness(found)), strict=True) if keep])
 
 
-def extract(pages: DataFrame) -> DataFrame:
-    """Per page: page_id, url, text, n_chars."""
+def share_of_cut(pages: list[str], weights: tuple[float, ...] = PRIOR) -> tuple[int, int, int]:
+    """(blocks, blocks that enter the graph, labels that differ from what the block's own text says)."""
+    total = inside = changed = 0
+    for page in pages:
+        found = blocks(page or "")
+        own, edges = own_odds(found, weights), smoothness(found)
+        odds = [a + b for a, b in zip(own, ties(found), strict=True)]
+        weight = [0.0] * len(found)
+        for a, b, w in edges:
+            weight[a] += w
+            weight[b] += w
+        total += len(found)
+        inside += sum(abs(o) <= max(w, SEED) for o, w in zip(odds, weight, strict=True))
+        changed += sum((o > 0) != keep for o, keep in zip(own, label(odds, edges), strict=True))
+    return total, inside, changed
+
+
+def fit(pages: DataFrame, sample_pages: int = SAMPLE_PAGES) -> tuple[float, ...]:
+    """Weights learned from at most ``sample_pages`` pages with an article or main element, those of least hash."""
+    rows = pages.select(F.col("html").cast("string").alias("html"))
+    named = rows.where(F.col("html").rlike("(?i)<(?:article|main)[\\s>]"))
+    least = named.select(F.xxhash64("html").alias("h")).distinct().orderBy("h").limit(sample_pages)  # keys only
+    some = named.select("html", F.xxhash64("html").alias("h")).join(F.broadcast(least), "h", "left_semi")
+    return learn(sorted(r["html"] for r in some.groupBy("h").agg(F.first("html").alias("html")).collect()))
+
+
+def extract(pages: DataFrame, weights: tuple[float, ...] | None = None) -> DataFrame:
+    """Per page: page_id, url, text, n_chars; ``weights`` are learned from the pages where none are given."""
+    held = fit(pages) if weights is None else weights
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [main_text(x.as_py()) for x in batch.column(2)]
+            texts = [main_text(x.as_py(), held) for x in batch.column(2)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     return pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(run, "page_id long, url string, text string, n_chars long")
