@@ -114,7 +114,7 @@ def test_empty_tables(spark, none, sf):
     assert rule_ensemble.score(none, rule_ensemble.fit(none, table(spark, sf, "labels"))).count() == 0
     pages = spark.createDataFrame([], "page_id long, url string, html string")
     assert mincut_html.extract(pages).count() == 0
-    assert host_reputation.judge(pages, host_reputation.label_outcomes(table(spark, sf, "labels"))).count() == 0
+    assert host_reputation.judge(pages, host_reputation.label_outcomes(table(spark, sf, "labels"), pages)).count() == 0
 
 
 # Byte-pair encoding ----------------------------------------------------------------------------
@@ -326,6 +326,34 @@ def test_reputation_blocks_bad_hosts_only(spark):
     assert all((v == "block") == (k < 60) for k, v in got.items())
 
 
+def test_beta_bound_equals_fine_sums(spark):
+    from pyspark.sql import functions as F
+
+    cases = [(a, b, c) for a in (0.3, 1.0, 7.5, 400.0, 3e5) for b in (0.4, 2.0, 31.0, 390.0, 2.9e5) for c in (0.2, 0.5, 0.51)]
+    for c in (0.2, 0.5, 0.51):
+        mine = [x[:2] for x in cases if x[2] == c]
+        got = {(r.a, r.b): r.p for r in spark.createDataFrame(mine, "a double, b double").select("a", "b", host_reputation.exceeds(F.col("a"), F.col("b"), c).alias("p")).collect()}
+        for a, b in mine:
+            t = 1 / (1 + np.exp(-np.linspace(-40, 40, 2_000_001)))  # cells even in the logit, so that poles at 0 and 1 are no matter
+            log = a * np.log(t) + b * np.log1p(-t)
+            w = np.exp(log - log.max())
+            assert got[a, b] == pytest.approx(w[t > c].sum() / w.sum(), abs=0.03), (a, b, c)
+
+
+def test_outcomes_are_those_of_the_document_that_a_page_shows(spark):
+    pages = spark.createDataFrame([(1, "http://h/en/7.html"), (2, "http://h/en/8/?x=9#3"), (3, "http://h/en/"), (4, None), (5, "http://h/en/7"), (None, "http://h/7"), (6, "http://h/" + "9" * 40)], "page_id long, url string")
+    labels = spark.createDataFrame([(7, 0, None), (8, 1, 0), (8, 1, 1), (9, 0, 1), (None, 0, 1), (3, None, None)], "doc_id long, quality int, toxic int")
+    got = host_reputation.label_outcomes(labels, pages).collect()
+    assert Counter(map(tuple, got)) == Counter([(1, True), (5, True), (None, True), (2, False), (2, True)])
+
+
+def test_hosts_of_very_many_labels(spark):
+    host = "a." * 20_000 + "example.com"
+    rows = spark.createDataFrame([(i, f"http://{host}/de/{i}") for i in range(20)], "page_id long, url string")
+    got = host_reputation.judge(rows, spark.createDataFrame([], "page_id long, bad boolean")).collect()
+    assert {r.rule for r in got} == {"example.com/de/"}
+
+
 # Benchmark -------------------------------------------------------------------------------------
 
 
@@ -723,7 +751,7 @@ def test_redaction(spark):
 
 def test_scans_are_native(spark, sf, capsys):
     secret_scan.report(table(spark, sf, "documents")).explain()
-    host_reputation.judge(table(spark, sf, "pages"), host_reputation.label_outcomes(table(spark, sf, "labels"))).explain()
+    host_reputation.judge(table(spark, sf, "pages"), host_reputation.label_outcomes(table(spark, sf, "labels"), table(spark, sf, "pages"))).explain()
     assert not re.search("Python|Pandas|Arrow", capsys.readouterr().out.replace("Batched", ""))
 
 

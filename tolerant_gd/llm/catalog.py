@@ -36,7 +36,8 @@ def op2_mincut_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return host_reputation.judge(table(spark, sf_dir, "pages"), host_reputation.label_outcomes(table(spark, sf_dir, "labels")))
+    pages = table(spark, sf_dir, "pages")
+    return host_reputation.judge(pages, host_reputation.label_outcomes(table(spark, sf_dir, "labels"), pages))
 
 
 def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
