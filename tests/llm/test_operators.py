@@ -507,11 +507,14 @@ def copies(seed=0, groups=12):
     return rows
 
 
-@pytest.mark.parametrize("piece", [3_000, 4])
+@pytest.mark.parametrize("piece,most", [(3_000, 64), (4, 64), (4, 0)])
 @pytest.mark.parametrize("seed", [0, 1])
-def test_components_equal_plain(spark, piece, seed):
+def test_components_equal_plain(spark, monkeypatch, piece, most, seed):
+    if not most:  # every key by broadcast, nothing else
+        monkeypatch.setattr(signature_tree, "HOT_ROWS", 0)
+        monkeypatch.setattr(signature_tree, "BROADCAST_BYTES", 0)
     rows = [r for r in ODD if r[0] is not None] + copies(seed)
-    got = signature_tree.join(spark.createDataFrame(rows, "doc_id long, text string"), piece).collect()
+    got = signature_tree.join(spark.createDataFrame(rows, "doc_id long, text string"), piece, copies=most).collect()
     assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in got) == plain_components(rows)
 
 
@@ -528,6 +531,24 @@ def test_one_large_group_in_pieces(spark):
     assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in got) == plain_components(rows)
 
 
+def test_a_chain_without_a_large_component_is_not_squared(spark, monkeypatch):
+    """Texts that only overlap with their neighbours are one block with no links to speak of: rows dealt grow with the texts."""
+    dealt = []
+    plain = signature_tree._grouped
+    monkeypatch.setattr(signature_tree, "_grouped", lambda rows, by, many: (dealt.append(rows.count()), plain(rows, by, many))[1])
+    grown = {}
+    for n in (60, 240):
+        rows = [(d, " ".join(f"w{i}" for i in range(30 * d, 30 * d + 100))) for d in range(n)] + [(n, " ".join(f"w{i}" for i in range(31, 131)))]
+        docs = spark.createDataFrame(rows, "doc_id long, text string")
+        for most in (0, 10**6):
+            dealt.clear()
+            got = signature_tree.join(docs, 4, copies=most).collect()
+            assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in got) == plain_components(rows)
+            grown[n, most] = sum(dealt)
+    assert grown[240, 0] < 5 * grown[60, 0]
+    assert grown[240, 10**6] > 8 * grown[60, 10**6]
+
+
 def near_group(n=150):
     rng = np.random.default_rng(9)
     rows = []
