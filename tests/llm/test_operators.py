@@ -4,6 +4,7 @@ import hashlib
 import html
 import math
 import re
+import struct
 import zlib
 from collections import Counter
 
@@ -434,6 +435,42 @@ def test_boxes_and_tables():
             list(iso_media.walk(bad))
 
 
+def test_broken_media_are_rows(spark):
+    """Cut, changed and nested files: a fault each, no crash, no table beyond the file."""
+    rng = np.random.default_rng(13)
+    whole = iso_media.store(bytes(range(256)) * 9 * 20)
+    files = [whole[:n] for n in (0, 7, 12, 40, 300, 700, len(whole) - 1)] + [b"\0\0\0\x08moov" + whole]
+    nested = b""
+    for _ in range(3000):
+        nested = struct.pack(">I4s", 8 + len(nested), b"moov") + nested
+    files.append(nested)
+    at = whole.index(b"stsz")
+    files.append(whole[: at + 12] + b"\xff\xff\xff\xff" + whole[at + 16 :])
+    files.append(whole[: at + 8] + b"\0\0\0\1\xff\xff\xff\xff" + whole[at + 16 :])
+    for _ in range(200):
+        changed = bytearray(whole)
+        for i in rng.integers(0, len(whole) - 576, 3):
+            changed[int(i)] = int(rng.integers(0, 256))
+        files.append(bytes(changed))
+    rows = [(i, len(f), f) for i, f in enumerate(files)] + [(9999, 0, None), (10_000, len(whole), whole)]
+    got = {r.doc_id: r for r in iso_media.describe(spark.createDataFrame(rows, "doc_id long, n_bytes long, media binary")).collect()}
+    assert len(got) == len(rows)
+    assert all(got[i].error and got[i].feature is None for i in (*range(7), 8, 9, 10, 9999))
+    assert got[9999].error == "no media"
+    assert got[10_000].error is None
+    assert got[10_000].payload_bytes == 256 * 9 * 20
+
+
+def test_written_tables_can_be_dropped(spark, odd):
+    from tolerant_gd.llm import store
+
+    store.drop_written(spark)
+    kept = store.materialise(odd, "odd")
+    assert kept.count() == len(ODD)
+    assert store.drop_written(spark) == 1
+    assert store.drop_written(spark) == 0
+
+
 # Quality ---------------------------------------------------------------------------------------
 
 

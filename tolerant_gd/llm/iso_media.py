@@ -7,7 +7,8 @@ the byte ranges of key frames; it seeks over the media data and never decodes it
 
 Null text is empty text; every payload is padded with bytes 255 to a positive multiple of
 576.  Equal texts give equal files: nothing of a file depends on its row or on time.  A
-file that is no such container raises ``ValueError`` with the place of the fault.
+file that is no such container raises ``ValueError`` with the fault (``tracks``, ``payload``, ``feature``), or
+is a row with that in its ``error`` column (``describe``); no table is made larger than the file allows.
 """
 
 from __future__ import annotations
@@ -29,6 +30,7 @@ FRAME = SIDE * SIDE
 RATE = 25  # frames a second
 CHUNK_FRAMES = 64
 BATCH_BYTES = 16_000_000
+MOST_DEPTH = 32  # of boxes in boxes
 
 #: Boxes that hold boxes.
 CONTAINERS = frozenset([b"moov", b"trak", b"mdia", b"minf", b"stbl", b"dinf", b"edts", b"udta", b"mvex", b"moof", b"traf"])
@@ -99,6 +101,8 @@ def walk(data: bytes, start: int = 0, end: int | None = None, depth: int = 0) ->
             raise ValueError(f"cut box header at {at}")
         size, kind = struct.unpack_from(">I4s", data, at)
         body = at + 8
+        if size == 1 and end - at < 16:
+            raise ValueError(f"cut box header at {at}")
         if size == 1:
             size, body = struct.unpack_from(">Q", data, at + 8)[0], at + 16
         elif size == 0:
@@ -107,6 +111,8 @@ def walk(data: bytes, start: int = 0, end: int | None = None, depth: int = 0) ->
             raise ValueError(f"box at {at} leaves its parent")
         yield depth, kind, body, at + size
         if kind in CONTAINERS:
+            if depth >= MOST_DEPTH:
+                raise ValueError("boxes are nested too deep")
             yield from walk(data, body, at + size, depth + 1)
         at += size
 
@@ -132,13 +138,23 @@ class Track(NamedTuple):
         return list(zip(first[new].tolist(), last[np.concatenate([new[1:], [True]])].tolist(), strict=True))
 
 
-def _numbers(data: bytes, at: int, count: int, kind: str) -> np.ndarray:
+def _numbers(data: bytes, at: int, end: int, count: int, kind: str) -> np.ndarray:
+    if at + count * np.dtype(kind).itemsize > end:
+        raise ValueError(f"table at {at} leaves its box")
     return np.frombuffer(data, kind, count, at).astype(np.int64)
 
 
 def tracks(data: bytes) -> list[Track]:
+    """The tracks of a container; ``ValueError`` for anything that is broken, whatever its bytes claim."""
+    try:
+        return _tracks(data)
+    except (struct.error, KeyError, IndexError, OverflowError) as e:
+        raise ValueError(f"broken container: {e}") from e
+
+
+def _tracks(data: bytes) -> list[Track]:
     out: list[dict] = []
-    for _, kind, a, _ in walk(data):
+    for _, kind, a, b in walk(data):
         if kind == b"trak":
             out.append({})
         if not out:
@@ -155,47 +171,63 @@ def tracks(data: bytes) -> list[Track]:
         elif kind in (b"stts", b"stsc"):
             width = 2 if kind == b"stts" else 3
             n = struct.unpack_from(">I", data, a + 4)[0]
-            t[kind] = _numbers(data, a + 8, n * width, ">u4").reshape(-1, width)
+            t[kind] = _numbers(data, a + 8, b, n * width, ">u4").reshape(-1, width)
         elif kind == b"stsz":
             same, n = struct.unpack_from(">II", data, a + 4)
-            t["sizes"] = np.full(n, same, np.int64) if same else _numbers(data, a + 12, n, ">u4")
+            if same and n * same > len(data):
+                raise ValueError("samples exceed the file")
+            t["sizes"] = np.full(n, same, np.int64) if same else _numbers(data, a + 12, b, n, ">u4")
         elif kind in (b"stco", b"co64"):
             n = struct.unpack_from(">I", data, a + 4)[0]
-            t["chunks"] = _numbers(data, a + 8, n, ">u4" if kind == b"stco" else ">u8")
+            t["chunks"] = _numbers(data, a + 8, b, n, ">u4" if kind == b"stco" else ">u8")
         elif kind == b"stss":
             n = struct.unpack_from(">I", data, a + 4)[0]
-            t["sync"] = _numbers(data, a + 8, n, ">u4") - 1
+            t["sync"] = _numbers(data, a + 8, b, n, ">u4") - 1
     return [_track(t) for t in out if "codec" in t]
 
 
 def _track(t: dict) -> Track:
     sizes, chunks, runs = t["sizes"], t["chunks"], t[b"stsc"]
     ends = np.append(runs[1:, 0], len(chunks) + 1)
-    per_chunk = np.repeat(runs[:, 1], ends - runs[:, 0])
-    if per_chunk.sum() != len(sizes):
+    spans = ends - runs[:, 0]
+    if (spans < 0).any() or spans.sum() != len(chunks) or (runs[:, 1] * spans).sum() != len(sizes) or t[b"stts"][:, 0].sum() != len(sizes):
         raise ValueError("sample tables disagree")
+    per_chunk = np.repeat(runs[:, 1], spans)
     firsts = np.cumsum(per_chunk) - per_chunk
     before = np.cumsum(sizes) - sizes
     offsets = np.repeat(chunks, per_chunk) + before - np.repeat(before[firsts[per_chunk > 0]], per_chunk[per_chunk > 0])
     steps = np.repeat(t[b"stts"][:, 1], t[b"stts"][:, 0])
     timescale, duration = t["time"]
     sync = t.get("sync", np.arange(len(sizes)))
+    if len(sync) and (sync.min() < 0 or sync.max() >= len(sizes)):
+        raise ValueError("key frames that are no samples")
     return Track(t["codec"], t.get("handler", ""), *t["shape"], timescale, duration, sizes, offsets, np.cumsum(steps) - steps, sync)
 
 
+def _first(data: bytes) -> Track:
+    found = tracks(data)
+    if not found:
+        raise ValueError("no track")
+    return found[0]
+
+
 def payload(data: bytes) -> bytes:
     """The samples of the first track, in order."""
-    t = tracks(data)[0]
+    t = _first(data)
+    if not len(t.sizes):
+        return b""
     ends = t.offsets + t.sizes
+    if t.offsets.min() < 0 or ends.max() > len(data):
+        raise ValueError("samples outside the file")
     new = np.concatenate([[True], t.offsets[1:] != ends[:-1]])
     stop = np.concatenate([new[1:], [True]])
     return b"".join([data[a:b] for a, b in zip(t.offsets[new].tolist(), ends[stop].tolist(), strict=True)])
 
 
 def feature(data: bytes) -> str:
-    t = tracks(data)[0]
-    keys = t.key_ranges()
-    seconds = t.duration / t.timescale
+    t = _first(data)
+    keys = t.key_ranges() or [(0, 0)]
+    seconds = t.duration / max(1, t.timescale)
     ranges = hashlib.sha256(",".join(f"{a}-{b}" for a, b in keys).encode()).hexdigest()[:16]
     return f"codec={t.codec.strip()} size={t.width}x{t.height} seconds={seconds:.2f} frames={len(t.sizes)} keyframes={len(t.sync)} key_bytes={keys[0][0]}-{keys[-1][1]} key_ranges={len(keys)}:{ranges}"
 
@@ -228,8 +260,8 @@ def write_media(docs: DataFrame) -> DataFrame:
 
 
 def describe(media: DataFrame) -> DataFrame:
-    """Sizes, digests and container features of stored media."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+    """Sizes, digests and container features of stored media; of a null or broken one, null features and the fault in ``error``."""
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, error string"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [f.split()[0] for f in schema.split(", ")]
@@ -237,9 +269,16 @@ def describe(media: DataFrame) -> DataFrame:
             rows = []
             for data in batch.column(2):
                 data = data.as_py()
-                held = payload(data)
-                rows.append((len(held), hashlib.sha256(held).hexdigest(), zlib.crc32(held[-32:]), len(data), hashlib.sha256(data).hexdigest(), feature(data)))
-            kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+                if data is None:
+                    rows.append((*[None] * 6, "no media"))
+                    continue
+                whole = (len(data), hashlib.sha256(data).hexdigest())
+                try:
+                    held, about = payload(data), feature(data)
+                    rows.append((len(held), hashlib.sha256(held).hexdigest(), zlib.crc32(held[-32:]), *whole, about, None))
+                except ValueError as e:
+                    rows.append((None, None, None, *whole, None, str(e)))
+            kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string()]
             columns = [pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names)
 
