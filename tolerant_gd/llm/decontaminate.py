@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tolerant_gd.llm.bytewords import split_words, texts, window_hashes
+from tolerant_gd.llm.store import modest_batches
 
 WINDOW = 10
 SLICE_CHARS = 4_000_000
@@ -130,6 +131,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW, slice_chars:
     """``keep`` columns (default doc_id) with n_words, hits (ordinals of hit words) and items (sorted ids)."""
     keep = keep or ["doc_id"]
     spark, parts = docs.sparkSession, slices(benchmark, slice_chars, size)
+    modest_batches(spark)
     inside = keep == ["_whole"]  # a packed row holds the text already
     rows = docs.select(*(F.col(c) for c in keep), *([] if inside else [F.col("text").alias("_text")]))
     found = None

@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from tolerant_gd.llm.store import materialise
+from tolerant_gd.llm.store import materialise, modest_batches
 
 SIDE = 24
 FRAME = SIDE * SIDE
@@ -247,6 +247,8 @@ def _sliced(rows: Iterator[tuple], names: list[str], kinds: list[pa.DataType], w
 def write_media(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, media: the containers, written and read back from the shared folder."""
 
+    modest_batches(docs.sparkSession)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def rows():
             for batch in batches:

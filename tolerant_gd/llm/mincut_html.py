@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tolerant_gd.llm.store import modest_batches
+
 # Element names of HTML by what they do to text.
 BLOCK_TAGS = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre search section summary table tbody td tfoot th thead tr ul".split())
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -447,6 +449,7 @@ def fit(pages: DataFrame, sample_pages: int = SAMPLE_PAGES) -> tuple[float, ...]
 
 def extract(pages: DataFrame, weights: tuple[float, ...] | None = None) -> DataFrame:
     """Per page: page_id, url, text, n_chars; ``weights`` are learned from the pages where none are given."""
+    modest_batches(pages.sparkSession)
     held = fit(pages) if weights is None else weights
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

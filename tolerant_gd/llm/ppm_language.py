@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tolerant_gd.llm.bytewords import texts
+from tolerant_gd.llm.store import modest_batches
 
 ORDER = 4
 LEAST_COUNT = 40
@@ -196,6 +197,7 @@ def _letters(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 def predict(docs: DataFrame, model: Model | None, keep: list[str] | None = None) -> DataFrame:
     """``keep`` columns (default doc_id) with lang_pred, score (posterior under equal priors) and bits_per_byte."""
     keep = keep or ["doc_id"]
+    modest_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(model)
     inside = keep == ["_whole"]  # a packed row holds the text already
     rows = docs.select(*(F.col(c) for c in keep), *([] if inside else [F.col("text").alias("_text")]))

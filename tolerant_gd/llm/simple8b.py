@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tolerant_gd.llm.store import materialise, shuffle_width
+from tolerant_gd.llm.store import materialise, modest_batches, shuffle_width
 from tolerant_gd.llm.wordbpe import PieceCache, WordBpe
 
 #: Ids per word; the field width is 60 // count.
@@ -169,7 +169,7 @@ def _library_ids(path: str):
         return b"".join([words[w] for w in found])
 
     words = PieceCache(lambda w: array("I", [t.id for t in model.tokenize(bpe.symbols(w))]).tobytes(), 3_000_000)
-    pieces = PieceCache(one, 128_000_000)
+    pieces = PieceCache(one, 180_000_000)
     added = {t: np.array([i], "<u4").tobytes() for t, i in bpe.added.items()}
 
     def encode(text: str) -> bytes:
@@ -211,6 +211,7 @@ def _packer(path: str, end_id: int | None):
 
 def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None = 1) -> DataFrame:
     """Encode whole texts, write segments in ascending ``doc_id`` order, return the table of written segments."""
+    modest_batches(docs.sparkSession)
     order = [F.col("doc_id").asc_nulls_first(), F.col("h"), F.col("text")]
     rows = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("h"))
     dealt = rows.repartitionByRange(shuffle_width(docs.sparkSession), *order[:2]).sortWithinPartitions(*order)

@@ -43,5 +43,13 @@ def drop_written(spark: SparkSession) -> int:
     return n
 
 
+def modest_batches(spark: SparkSession, most: int = 8_000_000) -> None:
+    """Let Arrow batches to Python workers hold at most ``most`` bytes: a worker and its JVM hold several copies of one."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(key, "")
+    if not now.rstrip("b").isdigit() or not 0 < int(now.rstrip("b")) <= most:
+        spark.conf.set(key, str(most))
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))

@@ -30,6 +30,7 @@ from itertools import chain, repeat
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from tolerant_gd.llm.store import modest_batches
 from tolerant_gd.llm.wordbpe import PieceCache, WordBpe, byte_alphabet
 
 #: Characters of a block of text; symbols that a streamed word hands on at once.
@@ -265,6 +266,7 @@ def encode_table(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> Dat
     """Per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, as asked, ids and the decoded text."""
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<long>, decoded string" * with_ids
     names = [f.split()[0] for f in schema.split(", ")]
+    modest_batches(docs.sparkSession)
     bpe = WordBpe(tokenizer)
     lookahead = sufficient_lookahead(plain_merges(bpe.merges, bpe.suffix))  # once, on the driver
 
