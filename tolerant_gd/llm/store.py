@@ -46,8 +46,8 @@ def drop_written(spark: SparkSession) -> int:
 def modest_batches(spark: SparkSession, most: int = 8_000_000) -> None:
     """Let Arrow batches to Python workers hold at most ``most`` bytes: a worker and its JVM hold several copies of one."""
     key = "spark.sql.execution.arrow.maxBytesPerBatch"
-    now = spark.conf.get(key, "")
-    if not now.rstrip("b").isdigit() or not 0 < int(now.rstrip("b")) <= most:
+    now = (spark.conf.get(key, None) or "0").rstrip("b")
+    if now.lstrip("-").isdigit() and not 0 < int(now) <= most:  # a size in other units is the user's own
         spark.conf.set(key, str(most))
 
 
