@@ -210,3 +210,23 @@ def test_rounds_of_more_codes_than_a_word_has_bits(spark, tmp_path):
     assert [(r.round, r.codes, r.distinct) for r in got] == [(0, 190, True)]
     loads = detector.run_to_table(detector.tumbling(live, "1 day", "1 second"), "many_loads", "complete").collect()
     assert [(r.load, r.codes) for r in loads] == [(250, 200)]
+
+
+def test_training_traces_decode_their_gradients(spark, sf, monkeypatch):
+    """Schemes that recover the gradient in full have one trace of the loss; a wrong weight shows in it."""
+    from tolerant_gd.catalog import gradients
+    from tolerant_gd.operators import lagrange
+
+    def losses(rounds):
+        out = {}
+        for r in gradients._training(spark, sf, rounds, (scheme("gradcode_single", 20, 4), *gradients._TRACED)).collect():
+            out.setdefault(r.scheme, []).append(r.loss)
+        return out
+
+    got = losses(25)
+    assert np.allclose(got["lagrange_multi"], got["wait_all"], atol=2e-6)
+    assert np.allclose(got["gradcode_single"], got["wait_all"], atol=2e-6)
+    assert got["wait_all"][-1] < got["wait_all"][0]
+    right = lagrange.Code.decode_coefs
+    monkeypatch.setattr(lagrange.Code, "decode_coefs", lambda self, have: [(i, w + (k == 0)) for k, (i, w) in enumerate(right(self, have))])
+    assert not np.allclose(losses(3)["lagrange_multi"], got["wait_all"][:3], atol=1e-3)

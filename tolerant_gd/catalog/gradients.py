@@ -122,12 +122,17 @@ QUERIES["gd_scheme_invariance"] = lambda s, d: _invariance(s, d)
 ORACLES["gd_scheme_invariance"] = "WITH g AS (" + ORACLES["gd_rounds_linear"] + ") SELECT n.scheme, dim, theta FROM g, (VALUES ('wait_all'), ('gradcode_single'), ('gradcode_shared'), ('gradcode_layered'), ('lagrange_multi'), ('uncoded_multi')) AS n(scheme) WHERE round = 3"
 
 
-def _training(s, d):
-    """Loss against the simulated clock for three schemes on the embeddings (one run each, rounds on a cached Gram form)."""
+_TRACED = (scheme("wait_all", 20), scheme("lagrange_multi", 20, 4), scheme("uncoded_partial", 20, 4, tolerance=0.05))
+
+
+def _training(s, d, rounds: int = 1_000, schemes=_TRACED):
+    """Loss against the simulated clock on the embeddings in thousandths (rounds on Gram forms, decoded messages)."""
     sample = vector_sample(s, d, 20)
-    rows = []
-    for sch in (scheme("wait_all", 20), scheme("lagrange_multi", 20, 4), scheme("uncoded_partial", 20, 4, tolerance=0.05)):
-        rows += [(sch.label, *r) for r in train.train(sample, sch, rounds=20, eta=0.5, d=64)]
+    whole = [F.round(F.get("x", F.lit(i)) * 1000).cast("bigint").alias(f"x{i}") for i in range(64)]
+    wide, rows = sample.select("batch", *whole, F.col("y").cast("bigint").alias("y")), []
+    grams = train.batch_grams(sample.withColumn("x", F.transform("x", lambda v: F.round(v * 1000) / 1000)), 64)
+    for sch in schemes:
+        rows += [(sch.label, *r) for r in train.train(wide, sch, rounds, eta=0.5, scale=(1e-3,) * 64 + (1.0,), grams=grams)]
     return s.createDataFrame(rows, "scheme string, round int, clock double, load int, loss double")
 
 

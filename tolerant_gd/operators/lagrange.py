@@ -75,9 +75,21 @@ class Code:
         use = received[: self.threshold]
         nodes = [self.betas[i] for i in use]
         sums = [0] * len(use)
-        for a in self.alphas:
-            for i, v in enumerate(self.basis(nodes, a)):
-                sums[i] = (sums[i] + v) % PRIME if self.exact else sums[i] + v
+        if self.exact:  # all basis polynomials of one point share their product; what divides them is one inverse each
+            low = [1] * len(use)
+            for i, x in enumerate(nodes):
+                for y in nodes:
+                    if x != y:
+                        low[i] = low[i] * (x - y) % PRIME
+            for a in self.alphas:
+                product = 1
+                for x in nodes:
+                    product = product * (a - x) % PRIME
+                for i, x in enumerate(nodes):
+                    sums[i] = (sums[i] + product * pow((a - x) * low[i], -1, PRIME)) % PRIME
+        else:
+            for a in self.alphas:
+                sums = [t + v for t, v in zip(sums, self.basis(nodes, a), strict=True)]
         return list(zip(use, sums, strict=True))
 
 
@@ -192,32 +204,33 @@ def cross_grams(aligned: DataFrame, xs: list[str], K: int):
 
     cells = aligned.groupBy("pos").agg(F.collect_list(F.struct("batch", *[F.col(x).cast("bigint").alias(x) for x in xs])).alias("cs")).select("cs")
     out = np.zeros((K * d, K * d), np.int64)
-    for r in cells.mapInArrow(run, "a int, b int, v bigint").groupBy("a", "b").agg(F.sum("v").alias("v")).collect():
-        out[r["a"], r["b"]] = r["v"]
+    sums = cells.mapInArrow(run, "a int, b int, v bigint").groupBy("a", "b").agg(F.sum("v").alias("v")).toPandas()
+    out[sums["a"], sums["b"]] = sums["v"]
     return out.reshape(K, d, K, d).transpose(0, 2, 1, 3)
 
 
 def message_grams(grams, code: Code) -> list:
-    """X~'X~ of every message, summed over its groups, from cross products of blocks; in the field as Python integers, or in floats."""
-    kind, out = (object if code.exact else float), []
-    cells = np.asarray(grams).astype(kind)
+    """X~'X~ of every message, summed over its groups, from cross products of blocks; field elements, or floats."""
+    pairs = [(b, c) for b in range(code.K) for c in range(code.K) if b // code.blocks == c // code.blocks]
+    cells = np.stack([grams[b, c] for b, c in pairs])
+    cells, out = field.elements(cells) if code.exact else cells.astype(float), []
     for _, _, w in code.encode_coefs():
-        total = np.zeros(cells.shape[2:], kind)
-        for b in range(code.K):
-            for c in range(code.K):
-                if b // code.blocks == c // code.blocks:
-                    total = total + w[b % code.blocks] * w[c % code.blocks] * cells[b, c]
-        out.append(total % PRIME if code.exact else total)
+        both = [w[b % code.blocks] * w[c % code.blocks] for b, c in pairs]
+        if code.exact:
+            each = np.array([v % PRIME for v in both], np.uint64)[:, None, None]
+            out.append(field.total(field.times(cells, np.broadcast_to(each, cells.shape))))
+        else:
+            out.append(np.tensordot(np.array(both), cells, 1))
     return out
 
 
-def decode_product(sent: np.ndarray, z: list[int], code: Code, received: list[int]) -> list[int]:
+def decode_product(sent: np.ndarray, z: list[int], code: Code, received: list[int], weights: list | None = None) -> list[int]:
     """X'X z as signed integers (below half the prime) from values of the received messages alone.
 
     ``sent`` holds every message's matrix as field elements (``message_grams`` of an exact code, stacked).
     """
     held = sent if isinstance(sent, np.ndarray) else np.array(sent, np.uint64)
-    weights = code.decode_coefs(received)
+    weights = weights or code.decode_coefs(received)
     mine = held[[i for i, _ in weights]]
     point = np.array([int(t) % PRIME for t in z], np.uint64)
     values = field.total(field.times(mine, np.broadcast_to(point, mine.shape)), axis=2)  # what each message carries
