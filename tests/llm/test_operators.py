@@ -487,6 +487,36 @@ def test_rules_compile_to_what_they_say(spark, sf):
         assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 4 == 2)
 
 
+def plain_statistics(text):
+    t = text or ""
+    words, lines = [w for w in re.split("[ \n\t\r]+", t) if w], t.split("\n")
+    share = lambda a, b: a / b if b else 0.0
+    held = lambda letters: share(sum(c in letters for c in t), len(t))
+    tokens = list(re.finditer(r"[^ \t\n\x0b\x0c\r]+", t))
+    doubled = sum(t[a.end() : b.start()] == " " and a[0] == b[0] for a, b in zip(tokens, tokens[1:], strict=False))
+    out = {"log_chars": math.log1p(len(t)), "log_words": math.log1p(len(words)), "word_length": share(len(t), len(words))}
+    out |= {"upper": held("ABCDEFGHIJKLMNOPQRSTUVWXYZ"), "digits": held("0123456789"), "marks": held("#$%&*+<=>@[]^_`{|}~\\"), "bangs": held("!?"), "stops": held(".,;:"), "bars": held("|")}
+    return out | {"distinct_words": share(len(set(words)), len(words)), "distinct_lines": share(len(set(lines)), len(lines)), "doubled_words": share(doubled, len(words))}
+
+
+def test_scores_equal_plain_statistics_and_rules(spark, sf):
+    """Statistics in plain Python, and the fitted rules applied to them one by one, give the scores of the query."""
+    model = rule_ensemble.fit(table(spark, sf, "documents"), table(spark, sf, "labels"))
+    rows = [*ODD, *sample(spark, sf, 200), (300, "go go go  go\ngo\tgo go. | a|b # 12 Go"), (301, "x x\x0by y z z"), (302, "\\ ~ ` | !? .,;:")]
+    got = Counter((r.doc_id, round(r.score, 9)) for r in rule_ensemble.score(spark.createDataFrame(rows, "doc_id long, text string"), model).collect())
+    want = Counter()
+    for doc, text in rows:
+        x = plain_statistics(text)
+        total = model.bias
+        for rule, weight in model.rules:
+            total += weight * all((x[model.names[j]] <= cut) == below for j, below, cut in rule.bounds)
+        want[doc, round(1 / (1 + math.exp(-total)), 9)] += 1
+    assert got == want
+    stats = spark.createDataFrame(rows, "doc_id long, text string").select(*[c.cast("double").alias(n) for n, c in rule_ensemble.statistics(rule_ensemble.F.col("text")).items()]).collect()
+    for (_, text), r in zip(rows, stats, strict=True):
+        assert r.asDict() == pytest.approx(plain_statistics(text), abs=1e-12), text
+
+
 def test_quality_on_held_out_rows(spark):
     folder = "/root/testdata/sf0.1"
     docs, labels = table(spark, folder, "documents"), table(spark, folder, "labels")
@@ -662,6 +692,52 @@ def test_code_lengths_are_probabilities_and_stretches_change_nothing(spark, sf):
     assert np.allclose(model.code_lengths(raw, np.array([0, len(raw)]))[0], total)
 
 
+def plain_code_length(samples, text, order, least):
+    """Bits of a text after counting contexts in dictionaries, byte by byte, by the definition."""
+
+    def folded(t):
+        out = "".join(c.lower() if c.isascii() and c.isalpha() else " " if c.isascii() else chr(ord(c) + 32) if 0xC0 <= ord(c) <= 0xDE != 0xD7 and ord(c) != 0xD7 else c for c in t)
+        return out.encode()
+
+    counts: dict[bytes, Counter] = {b"": Counter()}
+    for k in range(order + 1):
+        seen: dict[bytes, Counter] = {}
+        for t in map(folded, samples):
+            for i in range(k, len(t)):
+                seen.setdefault(t[i - k : i], Counter())[t[i]] += 1
+        counts |= {c: n for c, n in seen.items() if n.total() >= least and (k == 0 or c[1:] in counts)}
+    bits, data = 0.0, folded(text)
+    for i, byte in enumerate(data):
+        context, left_out = data[max(0, i - order) : i], set()
+        while context not in counts:
+            context = context[1:]
+        while True:
+            known = {b: n for b, n in counts[context].items() if b not in left_out}
+            total = sum(known.values()) + len(known)
+            if byte in known:
+                bits -= math.log2(known[byte] / total)
+                break
+            if known:
+                bits -= math.log2(len(known) / total)
+                left_out |= set(known)
+            if not context:
+                bits += math.log2(max(1, 256 - len(left_out)))
+                break
+            context = context[1:]
+    return bits
+
+
+def test_code_lengths_equal_plain():
+    samples = {"aa": ["the cat and the dog. The END!", "and then that thing"], "bb": ["der Hund und die Katze", "ÄÖÜ über schöne Häuser, und Öl"], "cc": ["日本語 の テキスト"]}
+    model = ppm_language.Model({k: [t.encode() for t in v] for k, v in samples.items()}, 4, 2)
+    texts = ["the thing and the Hund", "ÜBER das Öl × ÷ ß", "日本 x", "", "zzz qqq", "und " * 200]
+    raw = [t.encode() for t in texts]
+    got = model.code_lengths(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0] + [len(r) for r in raw]))
+    for t, row in zip(texts, got, strict=True):
+        for name, bits in zip(model.names, row, strict=True):
+            assert bits == pytest.approx(plain_code_length(samples[name], t, 4, 2), rel=1e-5, abs=1e-4), (t, name)
+
+
 def test_languages_on_held_out_rows(spark):
     docs = table(spark, "/root/testdata/sf0.01", "documents")
     got = ppm_language.identify(docs).where("held_out").join(docs.select("doc_id", "lang"), "doc_id").collect()
