@@ -97,3 +97,14 @@ def conditioning(masks: list[set[int]], received: list[int], points: list[int] |
         if i in by_code:
             total[b] = total.get(b, 0.0) + abs(by_code[i] * c / d)
     return max(total.values())
+
+
+def growth(masks: list[set[int]], received: list[int], grads: dict[int, dict[int, int]], points: list[int] | None = None) -> float:
+    """The same on given gradients (dim: batch: value): absolute decode times encode terms over the sum they leave, worst of all dims with a sum."""
+    points = list(range(1, len(masks) + 1)) if points is None else points
+    weights, d = decode_coefs(points, received, degree(masks, set().union(*masks)))
+    by_code, amount = dict(weights), {}
+    for i, b, c in encode_coefs(masks, points):
+        if i in by_code:
+            amount[b] = amount.get(b, 0.0) + abs(by_code[i] * c / d)
+    return max((sum(a * abs(v.get(b, 0)) for b, a in amount.items()) / abs(sum(v.values())) for v in grads.values() if sum(v.values())), default=0.0)
